@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe
+from . import bpe, tiff
 from .common import table
 
 QUERIES: dict = {}
@@ -27,3 +27,9 @@ def tokenizer_path(name: str) -> str:
 def op9_bpe_encoding(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Encode and decode every text; see :mod:`linetensor.llm.bpe`."""
     return bpe.round_trip_digest(table(spark, sf_dir, "documents", "doc_id", "text"), tokenizer_path("word_bpe_49k.json"))
+
+
+@query
+def op8_tiff_media(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every text as a TIFF file, read back page by page; see :mod:`linetensor.llm.tiff`."""
+    return tiff.text_media_digest(table(spark, sf_dir, "documents", "doc_id", "text"))
