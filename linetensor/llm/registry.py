@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, tiff
+from . import bpe, secrets, tiff
 from .common import table
 
 QUERIES: dict = {}
@@ -33,3 +33,9 @@ def op9_bpe_encoding(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op8_tiff_media(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every text as a TIFF file, read back page by page; see :mod:`linetensor.llm.tiff`."""
     return tiff.text_media_digest(table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
+@query
+def op5_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Secrets in every text and in what is encoded inside; see :mod:`linetensor.llm.secrets`."""
+    return secrets.secret_digest(table(spark, sf_dir, "documents", "doc_id", "text"))
