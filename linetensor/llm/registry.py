@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, chat, secrets, tiff
+from . import bpe, chat, lines, secrets, tiff
 from .common import table
 
 QUERIES: dict = {}
@@ -50,3 +50,12 @@ def op1_chat_expansion(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 ORACLES["op1_chat_expansion"] = chat.DIGEST_SQL
+
+
+@query
+def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every text without later occurrences of three lines that occur before; see :mod:`linetensor.llm.lines`."""
+    return lines.line_digest(table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
+ORACLES["op10_line_dedup"] = lines.DIGEST_SQL
