@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, chat, lines, secrets, tiff
+from . import bpe, chat, langid, lines, secrets, tiff
 from .common import table
 
 QUERIES: dict = {}
@@ -59,3 +59,9 @@ def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 ORACLES["op10_line_dedup"] = lines.DIGEST_SQL
+
+
+@query
+def op2_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The language of every text, learned from three of four folds; see :mod:`linetensor.llm.langid`."""
+    return langid.identify(table(spark, sf_dir, "documents", "doc_id", "text", "lang"), tokenizer_path("piece_bpe_32k.model"))
