@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, chat, langid, lines, secrets, tiff
+from . import bpe, chat, langid, lines, quality, secrets, tiff
 from .common import table
 
 QUERIES: dict = {}
@@ -65,3 +65,9 @@ ORACLES["op10_line_dedup"] = lines.DIGEST_SQL
 def op2_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The language of every text, learned from three of four folds; see :mod:`linetensor.llm.langid`."""
     return langid.identify(table(spark, sf_dir, "documents", "doc_id", "text", "lang"), tokenizer_path("piece_bpe_32k.model"))
+
+
+@query
+def op6_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A quality score for every text, learned from two of three folds of labels; see :mod:`linetensor.llm.quality`."""
+    return quality.classify(table(spark, sf_dir, "documents", "doc_id", "text"), table(spark, sf_dir, "labels", "doc_id", "quality"))
