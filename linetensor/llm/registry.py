@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, chat, langid, lines, quality, secrets, tiff
+from . import bpe, chat, decontaminate, langid, lines, quality, secrets, tiff
 from .common import table
 
 QUERIES: dict = {}
@@ -71,3 +71,9 @@ def op2_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op6_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A quality score for every text, learned from two of three folds of labels; see :mod:`linetensor.llm.quality`."""
     return quality.classify(table(spark, sf_dir, "documents", "doc_id", "text"), table(spark, sf_dir, "labels", "doc_id", "quality"))
+
+
+@query
+def op3_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Documents that hold a benchmark item, with the item and the window; see :mod:`linetensor.llm.decontaminate`."""
+    return decontaminate.find_contamination(table(spark, sf_dir, "documents", "doc_id", "text"), table(spark, sf_dir, "benchmark", "item_id", "text"))
