@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, chat, decontaminate, langid, lines, quality, secrets, tiff
+from . import bpe, chat, decontaminate, langid, lines, quality, secrets, substrings, tiff
 from .common import table
 
 QUERIES: dict = {}
@@ -77,3 +77,12 @@ def op6_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op3_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Documents that hold a benchmark item, with the item and the window; see :mod:`linetensor.llm.decontaminate`."""
     return decontaminate.find_contamination(table(spark, sf_dir, "documents", "doc_id", "text"), table(spark, sf_dir, "benchmark", "item_id", "text"))
+
+
+@query
+def op4_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every text without words of 13-word windows that start in an earlier document too; see :mod:`linetensor.llm.substrings`."""
+    return substrings.substring_digest(table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
+ORACLES["op4_substring_dedup"] = substrings.DIGEST_SQL
