@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, chat, decontaminate, langid, lines, quality, secrets, substrings, tiff
+from . import bpe, chat, decontaminate, langid, lines, neardup, quality, secrets, substrings, tiff
 from .common import table
 
 QUERIES: dict = {}
@@ -86,3 +86,9 @@ def op4_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 ORACLES["op4_substring_dedup"] = substrings.DIGEST_SQL
+
+
+@query
+def op7_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The near-duplicate class of every document; see :mod:`linetensor.llm.neardup`."""
+    return neardup.near_duplicates(table(spark, sf_dir, "documents", "doc_id", "text"))
