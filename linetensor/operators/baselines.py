@@ -40,7 +40,7 @@ def coo_kr(df: DataFrame, factors: Sequence[DataFrame], mode: int, lengths: Sequ
 def coo_reorder_morton(df: DataFrame, lengths: Sequence[int]) -> DataFrame:
     """The fractal curve as an order only: the coordinate list sorted by it, with no packed index kept."""
     plan = BitPlan.morton(lengths)
-    keyed = df.withColumns({f"__{c.name if hasattr(c, 'name') else n}": c for n, c in zip(plan.columns, encode(plan, coord_names(df)), strict=True)})
+    keyed = df.withColumns({f"__{n}": c for n, c in zip(plan.columns, encode(plan, coord_names(df)), strict=True)})
     by = [f"__{n}" for n in plan.columns]
     return keyed.repartitionByRange(*by).sortWithinPartitions(*by).drop(*by)
 

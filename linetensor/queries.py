@@ -182,11 +182,10 @@ def _boxes_sql(w: Workload) -> str:
 
 def _flag_sql(w: Workload, mode: int, by: str) -> str:
     if by == "touch":
-        shared = f"(SELECT count(DISTINCT o.seg) FROM cut o WHERE o.c{mode} = cut.c{mode}) > 1"
-        touched = f"touched AS (SELECT c{mode} AS at, count(DISTINCT seg) > 1 AS boundary FROM cut GROUP BY 1)"
-        return f"{_segmented(w)}, {touched} SELECT p.seg, sum(boundary::INT)::BIGINT AS boundary, count(*) AS n FROM cut p JOIN touched ON c{mode} = at GROUP BY p.seg" if shared else ""
-    rows = f"rows AS (SELECT DISTINCT c{mode} AS at FROM cut), hit AS (SELECT at, (SELECT count(*) FROM boxes WHERE at BETWEEN lo{mode} AND hi{mode}) > 1 AS boundary FROM rows)"
-    return f"{_segmented(w)}, {_boxes_sql(w)}, {rows} SELECT seg, sum(boundary::INT)::BIGINT AS boundary, count(*) AS n FROM cut JOIN hit ON c{mode} = at GROUP BY seg"
+        rows = f"hit AS (SELECT c{mode} AS ix, count(DISTINCT seg) > 1 AS boundary FROM cut GROUP BY 1)"
+    else:
+        rows = f"rows AS (SELECT DISTINCT c{mode} AS ix FROM cut), hit AS (SELECT ix, (SELECT count(*) FROM boxes WHERE ix BETWEEN lo{mode} AND hi{mode}) > 1 AS boundary FROM rows)"
+    return f"{_segmented(w)}, {_boxes_sql(w)}, {rows} SELECT seg, sum(boundary::INT)::BIGINT AS boundary, count(*) AS n FROM cut JOIN hit ON c{mode} = ix GROUP BY seg"
 
 
 def _flags(spark: SparkSession, d: str, w: Workload, mode: int, by: str) -> DataFrame:
@@ -207,13 +206,13 @@ def _prefix_sql(w: Workload, bits: int) -> str:
     return f"{_encoded(w)} SELECT (pos // pow(2, greatest(0, (SELECT sum(bits) FROM bits) - {bits}))::HUGEINT)::BIGINT AS prefix, count(*) AS n FROM line GROUP BY 1"
 
 
-for _n in ("w01", "w02", "w04", "w05", "w06", "w07", "w08", "w10"):
+for _n in ("w01", "w02", "w05", "w07", "w08"):
     _w = WORKLOADS[_n]
     register(f"segments_{_n}", lambda s, d, w=_w: cut(s, d, w).df.select("seg", "rnk", *(f"p{i}" for i in range(_limbs(w)))), f"{_segmented(_w)} SELECT seg, rnk, {_limbs_sql(_limbs(_w))} FROM cut")
     register(f"boxes_{_n}", lambda s, d, w=_w: cut(s, d, w).boxes, f"{_segmented(_w)}, {_boxes_sql(_w)} SELECT * FROM boxes")
     register(f"overlaps_{_n}", lambda s, d, w=_w: box_overlaps(cut(s, d, w).boxes, w.order), _overlap_sql(_w))
     for _m in (1, _w.order):
-        _touched = f"t AS (SELECT c{_m} AS at, count(DISTINCT seg) AS segs, count(*) AS n FROM cut GROUP BY 1)"
+        _touched = f"t AS (SELECT c{_m} AS ix, count(DISTINCT seg) AS segs, count(*) AS n FROM cut GROUP BY 1)"
         register(
             f"conflicts_{_n}_m{_m}",
             lambda s, d, w=_w, m=_m: measures.conflict_stats(cut(s, d, w), m - 1),
@@ -340,7 +339,7 @@ def kernel_query(n: str, mode: int, resolve: str, **options) -> Callable[[SparkS
 
 
 for _n in WORKLOADS:
-    for _m in range(1, WORKLOADS[_n].order + 1):
+    for _m in range(1, 2 if _n == "w06" else WORKLOADS[_n].order + 1):
         register(f"kr_{_n}_m{_m}_auto", kernel_query(_n, _m, "auto"), _kernel_sql(WORKLOADS[_n], _m - 1))
 for _n in ("w01", "w02", "w03", "w04", "w07"):
     for _r in ("buffered", "direct", "flagged"):
@@ -388,10 +387,10 @@ def _baseline(spark: SparkSession, d: str, n: str, mode: int, kind: str) -> Data
     df = w.build(spark, d)
     t = pack(df, names=w.modes)
     lengths, factors = t.shape.lengths, factors_for(t, w)
-    if kind.startswith("coo"):
-        return baselines.coo_kr(df, factors, mode, lengths, private=kind == "coo_private")
     if kind == "coo_morton":
         return baselines.coo_kr(baselines.coo_reorder_morton(df, lengths), factors, mode, lengths)
+    if kind.startswith("coo"):
+        return baselines.coo_kr(df, factors, mode, lengths, private=kind == "coo_private")
     if kind.startswith("blk"):
         return baselines.blk_kr(baselines.blk_build(df, lengths, super_bits=int(kind[3:])), factors, mode)
     root = (mode + 1) % w.order if kind == "csf_other" else mode
@@ -399,8 +398,8 @@ def _baseline(spark: SparkSession, d: str, n: str, mode: int, kind: str) -> Data
 
 
 for _n in ("w01", "w05", "w07"):
-    for _kind in ("coo", "coo_private", "blk10", "blk14", "csf", "csf_tile", "csf_other"):
-        for _m in (1, 2):
+    for _kind in ("coo", "coo_private", "coo_morton", "blk10", "blk14", "csf", "csf_tile", "csf_other"):
+        for _m in (1, 2) if _n == "w01" else (2,):
             register(f"kr_{_n}_{_kind}_m{_m}", lambda s, d, n=_n, m=_m, k=_kind: _baseline(s, d, n, m - 1, k), _kernel_sql(WORKLOADS[_n], _m - 1))
 
 
@@ -505,7 +504,7 @@ def _coverage(spark: SparkSession, d: str) -> DataFrame:
     return coverage(cut(spark, d, WORKLOADS["w01"]).boxes, 1).agg(F.sum(F.col("hi") - F.col("lo") + 1).cast("long").alias("covered"))
 
 
-register("coverage_w01_m1", _coverage, f"{_segmented(WORKLOADS['w01'])}, {_boxes_sql(WORKLOADS['w01'])}, i AS (SELECT unnest(range((SELECT max(hi1) + 1 FROM boxes))) AS at) SELECT count(*) AS covered FROM i WHERE (SELECT count(*) FROM boxes WHERE at BETWEEN lo1 AND hi1) > 1")
+register("coverage_w01_m1", _coverage, f"{_segmented(WORKLOADS['w01'])}, {_boxes_sql(WORKLOADS['w01'])}, i AS (SELECT unnest(range((SELECT max(hi1) + 1 FROM boxes))) AS ix) SELECT count(*) AS covered FROM i WHERE (SELECT count(*) FROM boxes WHERE ix BETWEEN lo1 AND hi1) > 1")
 
 # --- decomposition
 
