@@ -37,7 +37,8 @@ def coo_bits(lengths: Sequence[int], nnz: int, word: int) -> int:
 
 def metadata_ratio(lengths: Sequence[int], word: int = 64) -> float:
     """Index bits of a coordinate list over those of the packed format, at a word size; one at least."""
-    return coo_bits(lengths, 1, word) / max(packed_bits(lengths, 1, word), 1)
+    packed = packed_bits(lengths, 1, word)
+    return coo_bits(lengths, 1, word) / packed if packed else 1.0
 
 
 def morton_bits(lengths: Sequence[int]) -> int:

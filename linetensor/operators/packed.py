@@ -126,9 +126,9 @@ def segment(t: PackedTensor, segments: int, bits: int = RANK_BITS) -> PackedTens
 
 
 def dealt(t: PackedTensor) -> PackedTensor:
-    """One task for each segment, sorted along the line: segment numbers are partition numbers."""
-    df = t.df.repartitionById(t.segments, F.col("seg").cast("int"))
-    return t.with_df(df)
+    """One task for each segment: segment numbers are partition numbers."""
+    # the partition number is a column of its own, so that groups of it need no second exchange
+    return t.with_df(t.df.withColumn("seg", F.col("seg").cast("int")).repartitionById(t.segments, "seg"))
 
 
 def boxes(t: PackedTensor) -> DataFrame:
