@@ -41,6 +41,8 @@ BANDS, ROWS = 10, 3
 SKETCH, BLOCK = 1 << 18, 1 << 13
 #: Members of a group that are all compared, candidates that meet a pivot in one task, words whose hash a worker remembers.
 SMALL, TOGETHER, REMEMBERED = 12, 256, 300_000
+#: Shingles that are sampled together, so that arrays stay in cache; buckets of ids by which texts are sifted before a shuffle.
+AT_ONCE, SIEVE = 12_000, 1 << 18
 _LEVELS = 4096
 _NEGLOG = -np.log((np.arange(_LEVELS) + 0.5) / _LEVELS).astype(np.float32)
 _UNIFORM = ((np.arange(_LEVELS) + 0.5) / _LEVELS).astype(np.float32)
@@ -247,6 +249,14 @@ def _verified(pairs: DataFrame, rows: DataFrame, idf: np.ndarray) -> DataFrame:
                     a_out.append(a)
                     b_out.append(b)
                     scores.append(score)
+def _members(groups: DataFrame, rows: DataFrame) -> DataFrame:
+    """Written once: the texts of all members of groups. Buckets of their ids, at most SIEVE, sift the rows before the shuffle."""
+    ids = groups.select("key").distinct()
+    bucket = F.pmod(F.xxhash64("key"), F.lit(SIEVE))
+    sifted = rows.join(F.broadcast(ids.select(bucket.alias("bucket")).distinct()), bucket == F.col("bucket"), "left_semi")
+    return written(sifted.join(ids, "key", "left_semi"))
+
+
             yield pa.RecordBatch.from_arrays([pa.array(a_out, pa.int64()), pa.array(b_out, pa.int64()), pa.array(scores, pa.float64())], names=["a", "b", "similarity"])
 
     return arrow_map(dealt, run, "a long, b long, similarity double")
@@ -279,11 +289,11 @@ def find_classes(df: DataFrame, key: str = "doc_id", text: str = "text") -> tupl
     groups = written(groups.unionByName(_finer(groups, signed)))
     none = df.sparkSession.createDataFrame([], "key long, class long")
     pairs = _small_pairs(groups).union(_pivot_pairs(groups, none, 0)).distinct()
-    links = written(_verified(pairs, rows, idf))
+    links = written(_verified(pairs, texts, idf))
     classes = components(links)
     turn = 1
     while True:
-        more = written(_verified(_pivot_pairs(groups, classes, turn), rows, idf))
+        more = written(_verified(_pivot_pairs(groups, classes, turn), texts, idf))
         if more.isEmpty():
             break
         links = written(links.union(more))
@@ -302,6 +312,7 @@ def near_duplicates(df: DataFrame, key: str = "doc_id", text: str = "text") -> D
     ids = df.select(F.col(key).alias("id"))
     out = ids.join(by_id, ids["id"].cast("long") == by_id["key"], "left")
     out = out.select("id", F.coalesce("class", F.col("id").cast("long")).alias("class_id")).join(ends, F.col("id").cast("long") == F.col("end"), "left")
+    texts = _members(groups, rows)
     return out.select(F.col("id").alias(key), "class_id", F.coalesce("n", F.lit(0)).alias("n_links"))
 
 
