@@ -86,31 +86,47 @@ def idf_factors(counts: np.ndarray, documents: int) -> np.ndarray:
 
 
 def weights(shingles: np.ndarray, times: np.ndarray, idf: np.ndarray) -> np.ndarray:
-    return times.astype(np.float32) * idf[(shingles >> np.uint64(7)) % np.uint64(SKETCH)]
+    return times.astype(np.float32) * idf[(shingles >> np.uint64(7) & np.uint64(SKETCH - 1)).view(np.int64)]
 
 
-def samples(shingles: np.ndarray, weight: np.ndarray) -> np.ndarray:
-    """One number for each consistent weighted sample: of the chosen shingle and its quantised weight."""
+def samples(shingles: np.ndarray, weight: np.ndarray, starts: np.ndarray) -> np.ndarray:
+    """sets x samples: numbers for each consistent weighted sample, of the chosen shingle and its quantised weight.
+
+    Sets lie behind one another in shingles and weight, and begin at starts.
+    """
     logs = np.log(weight)
-    out = np.empty(BANDS * ROWS, np.uint64)
+    sizes = np.diff(np.append(starts, len(shingles)))
+    owners = np.repeat(np.arange(len(starts)), sizes)
+    out = np.empty((len(starts), len(_MULTIPLIERS)), np.uint64)
     top = np.uint64(_LEVELS - 1)
     for h, multiplier in enumerate(_MULTIPLIERS):
         x = shingles * multiplier
         x ^= x >> np.uint64(32)
         x *= _MIX
-        pick = [(x >> np.uint64(shift) & top).astype(np.intp) for shift in (4, 16, 28, 40, 52)]
-        r = _NEGLOG[pick[0]] + _NEGLOG[pick[1]]
+        pick = [(x >> np.uint64(shift) & top).view(np.int64) for shift in (4, 16, 28, 40, 52)]
+        r = _NEGLOG[pick[0]]
+        r += _NEGLOG[pick[1]]
         beta = _UNIFORM[pick[4]]
         t = np.floor(logs / r + beta)
-        score = np.log(_NEGLOG[pick[2]] + _NEGLOG[pick[3]]) - r * (t - beta + 1)
-        at = int(score.argmin())
-        out[h] = (int(shingles[at]) ^ (int(t[at]) * 0x9E3779B97F4A7C15)) & 0xFFFFFFFFFFFFFFFF
+        c = _NEGLOG[pick[2]]
+        c += _NEGLOG[pick[3]]
+        score = np.log(c, out=c)
+        score -= r * (t - beta + 1)
+        least = np.minimum.reduceat(score, starts)
+        at = np.flatnonzero(score == least[owners])
+        at = at[np.concatenate([[True], owners[at[1:]] != owners[at[:-1]]])]
+        out[:, h] = shingles[at] ^ (t[at].astype(np.int64).view(np.uint64) * _MIX)
     return out
 
 
-def bands(shingles: np.ndarray, weight: np.ndarray) -> list[int]:
-    found = samples(shingles, weight).reshape(BANDS, ROWS)
-    return [int.from_bytes(xxhash.xxh3_64_digest(bytes([b]) + row.tobytes()), "big", signed=True) for b, row in enumerate(found)]
+def bands(found: np.ndarray) -> np.ndarray:
+    """sets x bands: one number for each band of samples."""
+    rows = found.reshape(len(found), BANDS, ROWS)
+    value = np.broadcast_to(np.arange(1, BANDS + 1, dtype=np.uint64), rows.shape[:2]).copy()
+    for k in range(ROWS):
+        value = (value ^ rows[:, :, k]) * _MIX
+        value ^= value >> np.uint64(31)
+    return value.view(np.int64)
 
 
 def similarity(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.ndarray]) -> float:
@@ -127,20 +143,18 @@ def _count(rows: DataFrame) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sketch, documents = np.zeros(SKETCH, np.int64), 0
         for batch in batches:
-            keys, first, second = [], [], []
+            keys, first, second, sets = [], [], [], []
             for k, t in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
                 hashes = word_hashes(t)
-                if not len(hashes):
-                    continue
-                shingles, _ = weighted_set(hashes)
-                sketch += np.bincount(((shingles >> np.uint64(7)) % np.uint64(SKETCH)).astype(np.intp), minlength=SKETCH) if len(shingles) > SKETCH // 8 else 0
-                if len(shingles) <= SKETCH // 8:
-                    np.add.at(sketch, ((shingles >> np.uint64(7)) % np.uint64(SKETCH)).astype(np.intp), 1)
-                documents += 1
-                one, two = digest(hashes)
-                keys.append(k)
-                first.append(one)
-                second.append(two)
+                if len(hashes):
+                    one, two = digest(hashes)
+                    keys.append(k)
+                    first.append(one)
+                    second.append(two)
+                    sets.append(weighted_set(hashes)[0])
+            if sets:
+                sketch += np.bincount((np.concatenate(sets) >> np.uint64(7) & np.uint64(SKETCH - 1)).view(np.int64), minlength=SKETCH)
+                documents += len(sets)
             n = len(keys)
             yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), pa.array(first, pa.int64()), pa.array(second, pa.int64()), pa.nulls(n, pa.int32()), pa.nulls(n, pa.binary()), pa.nulls(n, pa.int64())], names=["key", "d1", "d2", "block", "counts", "documents"])
         if documents:
@@ -177,16 +191,27 @@ def _idf(counted: DataFrame) -> np.ndarray:
 def _signed(rows: DataFrame, idf: np.ndarray) -> DataFrame:
     """(key, bands) of each text with words."""
 
+    def signed(keys: list[int], sets: list[tuple[np.ndarray, np.ndarray]]) -> pa.RecordBatch:
+        starts = np.cumsum([0, *(len(s) for s, _ in sets[:-1])])
+        shingles = np.concatenate([s for s, _ in sets])
+        found = bands(samples(shingles, weights(shingles, np.concatenate([n for _, n in sets]), idf), starts))
+        lists = pa.FixedSizeListArray.from_arrays(pa.array(found.ravel()), BANDS).cast(pa.list_(pa.int64()))
+        return pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), lists], names=["key", "bands"])
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        keys, sets, size = [], [], 0
         for batch in batches:
-            keys, found = [], []
             for k, t in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
                 hashes = word_hashes(t)
                 if len(hashes):
-                    shingles, times = weighted_set(hashes)
                     keys.append(k)
-                    found.append(bands(shingles, weights(shingles, times, idf)))
-            yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), pa.array(found, pa.list_(pa.int64()))], names=["key", "bands"])
+                    sets.append(weighted_set(hashes))
+                    size += len(sets[-1][0])
+                if size > AT_ONCE:
+                    yield signed(keys, sets)
+                    keys, sets, size = [], [], 0
+        if keys:
+            yield signed(keys, sets)
 
     return arrow_map(rows, run, "key long, bands array<long>")
 
@@ -224,6 +249,14 @@ def _pivot_pairs(groups: DataFrame, classes: DataFrame, turn: int) -> DataFrame:
     return met.select(F.least("key", "pivot.key").alias("a"), F.greatest("key", "pivot.key").alias("b")).distinct()
 
 
+def _members(groups: DataFrame, rows: DataFrame) -> DataFrame:
+    """Written once: the texts of all members of groups. Buckets of their ids, at most SIEVE, sift the rows before the shuffle."""
+    ids = groups.select("key").distinct()
+    bucket = F.pmod(F.xxhash64("key"), F.lit(SIEVE))
+    sifted = rows.join(F.broadcast(ids.select(bucket.alias("bucket")).distinct()), bucket == F.col("bucket"), "left_semi")
+    return written(sifted.join(ids, "key", "left_semi"))
+
+
 def _verified(pairs: DataFrame, rows: DataFrame, idf: np.ndarray) -> DataFrame:
     """Links (a, b, similarity) of the pairs that are similar enough; a's words meet up to TOGETHER candidates in a task."""
     shares = pairs.groupBy("a").agg(F.ceil(F.count(F.lit(1)) / F.lit(TOGETHER)).cast("int").alias("shares"))
@@ -249,14 +282,6 @@ def _verified(pairs: DataFrame, rows: DataFrame, idf: np.ndarray) -> DataFrame:
                     a_out.append(a)
                     b_out.append(b)
                     scores.append(score)
-def _members(groups: DataFrame, rows: DataFrame) -> DataFrame:
-    """Written once: the texts of all members of groups. Buckets of their ids, at most SIEVE, sift the rows before the shuffle."""
-    ids = groups.select("key").distinct()
-    bucket = F.pmod(F.xxhash64("key"), F.lit(SIEVE))
-    sifted = rows.join(F.broadcast(ids.select(bucket.alias("bucket")).distinct()), bucket == F.col("bucket"), "left_semi")
-    return written(sifted.join(ids, "key", "left_semi"))
-
-
             yield pa.RecordBatch.from_arrays([pa.array(a_out, pa.int64()), pa.array(b_out, pa.int64()), pa.array(scores, pa.float64())], names=["a", "b", "similarity"])
 
     return arrow_map(dealt, run, "a long, b long, similarity double")
@@ -287,6 +312,7 @@ def find_classes(df: DataFrame, key: str = "doc_id", text: str = "text") -> tupl
     signed = written(_signed(rows, idf).join(chosen, "key", "left_semi"))
     groups = _groups(signed)
     groups = written(groups.unionByName(_finer(groups, signed)))
+    texts = _members(groups, rows)
     none = df.sparkSession.createDataFrame([], "key long, class long")
     pairs = _small_pairs(groups).union(_pivot_pairs(groups, none, 0)).distinct()
     links = written(_verified(pairs, texts, idf))
@@ -312,7 +338,6 @@ def near_duplicates(df: DataFrame, key: str = "doc_id", text: str = "text") -> D
     ids = df.select(F.col(key).alias("id"))
     out = ids.join(by_id, ids["id"].cast("long") == by_id["key"], "left")
     out = out.select("id", F.coalesce("class", F.col("id").cast("long")).alias("class_id")).join(ends, F.col("id").cast("long") == F.col("end"), "left")
-    texts = _members(groups, rows)
     return out.select(F.col("id").alias(key), "class_id", F.coalesce("n", F.lit(0)).alias("n_links"))
 
 
