@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 from .common import arrow_map
 
 #: Symbols of a word beyond which it is not put in the trie; words and pairs that a worker remembers.
-LONG, REMEMBERED, PAIRS = 200, 200_000, 400_000
+LONG, REMEMBERED, PAIRS = 200, 600_000, 400_000
 END = "</w>"
 #: The contractions that the vocabulary splits off.
 SUFFIXES = "'s|'t|'re|'ve|'m|'ll|'d"
