@@ -76,7 +76,7 @@ class _Sender:
     def __init__(self, buckets: int):
         self.buckets, self.size = buckets, 0
         self.held: dict[bytes, tuple[int, list[int]]] = {}
-        self.pack = zstandard.ZstdCompressor(level=1).compress
+        self.pack = zstandard.ZstdCompressor(level=5).compress
 
     def add(self, document: int, mark: int, text: str) -> None:
         for first, mini, packed in super_kmers(text.encode("utf-8", "replace").split()):
