@@ -11,8 +11,8 @@ half a million. Candidates are verified by exact weighted Jaccard similarity of
 
 Groups: texts with the same words are one representative from the start, so copies are never
 paired. Band groups of up to ``SMALL`` representatives are compared in full. Members of a larger
-group also meet in groups that share a second band, and larger groups are compared with one pivot
-in every round, with another pivot each round, until a round adds no link; no group is gathered in
+group also meet in groups that share a second band, and larger groups are compared with ``PIVOTS``
+of their members in every round, with others each round, until a round adds no link; no group is gathered in
 one task, capped or sampled. The words of a pivot go to as many tasks as its candidates need.
 
 Cases: words are runs of letters and digits in lower case; texts of fewer than five words are one
@@ -41,6 +41,8 @@ BANDS, ROWS = 10, 3
 SKETCH, BLOCK = 1 << 18, 1 << 13
 #: Members of a group that are all compared, candidates that meet a pivot in one task, words whose hash a worker remembers.
 SMALL, TOGETHER, REMEMBERED = 12, 256, 300_000
+#: Pivots that a larger group has in one round.
+PIVOTS = 6
 #: Shingles that are sampled together, so that arrays stay in cache; buckets of ids by which texts are sifted before a shuffle.
 AT_ONCE, SIEVE = 12_000, 1 << 18
 _LEVELS = 4096
@@ -240,13 +242,14 @@ def _small_pairs(groups: DataFrame) -> DataFrame:
 
 
 def _pivot_pairs(groups: DataFrame, classes: DataFrame, turn: int) -> DataFrame:
-    """Each member of a larger group with the group's pivot of this round, where they are not in one class yet."""
+    """Each member of a larger group with the group's pivots of this round, where they are not in one class yet."""
     large = groups.where(F.col("n") > SMALL).select("band", "key").join(classes, "key", "left")
     large = large.withColumn("class", F.coalesce("class", "key"))
-    order = F.col("key") if turn == 0 else F.xxhash64("key", F.lit(turn))
-    pivots = large.groupBy("band").agg(F.min(F.struct(order.alias("o"), "key", "class")).alias("pivot"))
-    met = large.join(pivots, "band").where(F.col("class") != F.col("pivot.class"))
-    return met.select(F.least("key", "pivot.key").alias("a"), F.greatest("key", "pivot.key").alias("b")).distinct()
+    orders = [F.col("key") if turn == k == 0 else F.xxhash64("key", F.lit(turn * PIVOTS + k)) for k in range(PIVOTS)]
+    pivots = large.groupBy("band").agg(F.array(*[F.min(F.struct(o.alias("o"), F.col("key").alias("pivot"), "class")) for o in orders]).alias("pivots"))
+    met = large.join(pivots, "band")
+    met = met.select("key", F.explode(F.filter("pivots", lambda p: p["class"] != F.col("class"))).alias("p"))
+    return met.select(F.least("key", "p.pivot").alias("a"), F.greatest("key", "p.pivot").alias("b")).distinct()
 
 
 def _members(groups: DataFrame, rows: DataFrame) -> DataFrame:
