@@ -10,10 +10,12 @@ half a million. Candidates are verified by exact weighted Jaccard similarity of
 64-bit shingle hashes. Classes are the connected components of the verified links.
 
 Groups: texts with the same words are one representative from the start, so copies are never
-paired. Band groups of up to ``SMALL`` representatives are compared in full. Members of a larger
-group also meet in groups that share a second band, and larger groups are compared with ``PIVOTS``
-of their members in every round, with others each round, until a round adds no link; no group is gathered in
-one task, capped or sampled. The words of a pivot go to as many tasks as its candidates need.
+paired. Band groups of up to ``SMALL`` representatives are compared in full. Larger groups are
+first compared with ``PIVOTS`` of their members in every round, with others each round, until a
+round adds no link. Then all pairs of different classes are covered among the members of larger
+groups that still hold several: those that share one of their rarest shingles, of a fifth of the
+weight, which no similar pair can do without. No group is gathered in one task, capped or sampled.
+The words of a text go to as many tasks as its candidates need.
 
 Cases: words are runs of letters and digits in lower case; texts of fewer than five words are one
 shingle. Null texts and texts without words are like nothing: their class is their own id. A null
@@ -39,10 +41,10 @@ SHINGLE, LEAST = 5, 0.8
 BANDS, ROWS = 10, 3
 #: Counters of the document-frequency sketch, and how many travel in one row.
 SKETCH, BLOCK = 1 << 18, 1 << 13
-#: Members of a group that are all compared, candidates that meet a pivot in one task, words whose hash a worker remembers.
+#: Members of a group that are all compared, candidates that meet a text in one task, words whose hash a worker remembers.
 SMALL, TOGETHER, REMEMBERED = 12, 256, 300_000
-#: Pivots that a larger group has in one round.
-PIVOTS = 6
+#: Pivots that a larger group has in one round; share of a weight that rounding may cost.
+PIVOTS, SLACK = 6, 1e-5
 #: Shingles that are sampled together, so that arrays stay in cache; buckets of ids by which texts are sifted before a shuffle.
 AT_ONCE, SIEVE = 12_000, 1 << 18
 _LEVELS = 4096
@@ -225,15 +227,6 @@ def _groups(signed: DataFrame) -> DataFrame:
     return rows.join(sizes, "band")
 
 
-def _finer(groups: DataFrame, signed: DataFrame) -> DataFrame:
-    """Groups of a second band within each larger group, as further groups of the same kind."""
-    large = groups.where(F.col("n") > SMALL).select("band", "key")
-    rows = large.join(signed, "key").select("key", F.col("band").alias("one"), F.explode("bands").alias("two")).where("one < two")
-    rows = rows.select("key", F.xxhash64("one", "two").alias("band"))
-    sizes = rows.groupBy("band").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
-    return rows.join(sizes, "band")
-
-
 def _small_pairs(groups: DataFrame) -> DataFrame:
     """All pairs of each group of up to SMALL members."""
     held = groups.where(F.col("n") <= SMALL).groupBy("band").agg(F.sort_array(F.collect_set("key")).alias("keys"))
@@ -241,17 +234,71 @@ def _small_pairs(groups: DataFrame) -> DataFrame:
     return first.select("a", F.explode(F.slice("keys", F.col("at") + 2, F.size("keys"))).alias("b")).distinct()
 
 
+def _classed(groups: DataFrame, classes: DataFrame) -> DataFrame:
+    """(band, key, class) of the members of larger groups."""
+    large = groups.where(F.col("n") > SMALL).groupBy("key").agg(F.collect_set("band").alias("bands")).join(classes, "key", "left")
+    return large.select("key", F.coalesce("class", "key").alias("class"), F.explode("bands").alias("band"))
+
+
 def _pivot_pairs(groups: DataFrame, classes: DataFrame, turn: int) -> DataFrame:
-    """Each member of a larger group with the group's pivots of this round, where they are not in one class yet."""
-    large = groups.where(F.col("n") > SMALL).select("band", "key").join(classes, "key", "left")
-    large = large.withColumn("class", F.coalesce("class", "key"))
+    """Each member of a larger group of several classes with the group's pivots of this round, where they are not in one class yet."""
+    large = _classed(groups, classes)
     orders = [F.col("key") if turn == k == 0 else F.xxhash64("key", F.lit(turn * PIVOTS + k)) for k in range(PIVOTS)]
-    pivots = large.groupBy("band").agg(F.array(*[F.min(F.struct(o.alias("o"), F.col("key").alias("pivot"), "class")) for o in orders]).alias("pivots"))
+    drawn = F.array(*[F.min(F.struct(o.alias("o"), F.col("key").alias("pivot"), "class")) for o in orders]).alias("pivots")
+    pivots = large.groupBy("band").agg(drawn, F.min("class").alias("low"), F.max("class").alias("high")).where("low <> high").select("band", "pivots")
     met = large.join(pivots, "band")
     met = met.select("key", F.explode(F.filter("pivots", lambda p: p["class"] != F.col("class"))).alias("p"))
     return met.select(F.least("key", "p.pivot").alias("a"), F.greatest("key", "p.pivot").alias("b")).distinct()
 
 
+def prefix(shingles: np.ndarray, weight: np.ndarray, factors: np.ndarray) -> tuple[np.ndarray, np.ndarray, float]:
+    """Rarest shingles first, as many as a similar set must share one of; the weight from each of them on, and the whole weight."""
+    order = np.lexsort((shingles, -factors))
+    rest = weight[order].astype(np.float64)[::-1].cumsum()[::-1]
+    n = int(np.count_nonzero(rest >= LEAST * rest[0] * (1 - SLACK)))
+    return shingles[order[:n]], rest[:n], float(rest[0])
+
+
+def _prefixes(rows: DataFrame, idf: np.ndarray) -> DataFrame:
+    """(mark, key, class, rest, whole) for the shingles in the prefix of each text."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for key, label, text in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                shingles, times = weighted_set(word_hashes(text))
+                marks, rest, whole = prefix(shingles, weights(shingles, times, idf), weights(shingles, np.ones(len(shingles)), idf))
+                n = len(marks)
+                columns = [pa.array(marks.view(np.int64)), pa.array(np.full(n, key, np.int64)), pa.array(np.full(n, label, np.int64)), pa.array(rest), pa.array(np.full(n, whole))]
+                yield pa.RecordBatch.from_arrays(columns, names=["mark", "key", "class", "rest", "whole"])
+
+    return arrow_map(rows.select("key", "class", "text"), run, "mark long, key long, class long, rest double, whole double")
+
+
+def _cover_pairs(groups: DataFrame, classes: DataFrame, texts: DataFrame, idf: np.ndarray) -> DataFrame:
+    """All pairs of different classes that can be similar, of the members of larger groups that hold several classes.
+
+    Two similar texts share a shingle in their prefixes, and from the first such shingle on there is weight enough in
+    both. Texts of one class are not paired: of each shingle's members, those outside of its most common class meet all,
+    in cells of up to TOGETHER by TOGETHER members.
+    """
+    large = _classed(groups, classes)
+    several = large.groupBy("band").agg(F.min("class").alias("low"), F.max("class").alias("high")).where("low <> high").select("band")
+    members = large.join(several, "band", "left_semi").select("key", "class").distinct()
+    marks = written(_prefixes(texts.join(members, "key"), idf))
+    by_class = marks.groupBy("mark", "class").agg(F.count(F.lit(1)).alias("n"))
+    sizes = by_class.groupBy("mark").agg(F.sum("n").alias("n"), F.max(F.struct("n", "class")).alias("most")).where("n > most.n")
+    cuts = lambda n: F.ceil(n / F.lit(TOGETHER)).cast("int")
+    sizes = sizes.select("mark", F.col("most.class").alias("common"), cuts(F.col("n")).alias("all"), cuts(F.col("n") - F.col("most.n")).alias("others"))
+    held = marks.join(sizes, "mark")
+    home = lambda n: F.pmod(F.xxhash64("key"), F.col(n)).cast("int")
+    every = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
+    one = held.where("class <> common").select("mark", home("others").alias("i"), every("all").alias("j"), *[F.col(c).alias(f"{c}_1") for c in ("key", "class", "rest", "whole")])
+    two = held.select("mark", every("others").alias("i"), home("all").alias("j"), "key", "class", "rest", "whole", "common")
+    enough = F.least("rest", "rest_1") * (1 + LEAST) >= (F.col("whole") + F.col("whole_1")) * (LEAST * (1 - SLACK))
+    met = one.join(two, ["mark", "i", "j"]).where((F.col("class") != F.col("class_1")) & ((F.col("class") == F.col("common")) | (F.col("key") > F.col("key_1"))) & enough)
+    return met.select(F.least("key", "key_1").alias("a"), F.greatest("key", "key_1").alias("b")).distinct()
+
+
 def _members(groups: DataFrame, rows: DataFrame) -> DataFrame:
     """Written once: the texts of all members of groups. Buckets of their ids, at most SIEVE, sift the rows before the shuffle."""
     ids = groups.select("key").distinct()
@@ -313,8 +360,7 @@ def find_classes(df: DataFrame, key: str = "doc_id", text: str = "text") -> tupl
     members = copies.groupBy("d1", "d2").agg(F.min("key").alias("first"))
     chosen = members.select(F.col("first").alias("key")).distinct()
     signed = written(_signed(rows, idf).join(chosen, "key", "left_semi"))
-    groups = _groups(signed)
-    groups = written(groups.unionByName(_finer(groups, signed)))
+    groups = written(_groups(signed))
     texts = _members(groups, rows)
     none = df.sparkSession.createDataFrame([], "key long, class long")
     pairs = _small_pairs(groups).union(_pivot_pairs(groups, none, 0)).distinct()
@@ -328,6 +374,10 @@ def find_classes(df: DataFrame, key: str = "doc_id", text: str = "text") -> tupl
         links = written(links.union(more))
         classes = components(links)
         turn += 1
+    more = written(_verified(_cover_pairs(groups, classes, texts, idf), texts, idf))
+    if not more.isEmpty():
+        links = written(links.union(more))
+        classes = components(links)
     # a representative's id may stand for several texts: all texts of an id go with it
     own = copies.join(members, ["d1", "d2"]).select("key", "d1", "d2", "first")
     return own.join(classes.withColumnRenamed("key", "first"), "first", "left").select("key", "d1", "d2", F.coalesce("class", "first").alias("class")), links

@@ -82,3 +82,34 @@ def test_groups_and_cases(spark):
     assert left.columns == df.columns
     assert sorted(r.doc_id for r in left.collect() if r.doc_id is not None) == [0, *range(300, 360), 400, 401, 402, 404]
     assert n.near_duplicates(df.limit(0)).count() == 0
+
+
+def test_true_pairs_among_boilerplate_match_brute_force(spark):
+    rng = random.Random(11)
+    hot = [f"h{i}" for i in range(164)]
+    rows = []
+    for i in range(260):  # similarity 0.6 to each other
+        own = [f"y{i}x{j}" for j in range(26)]
+        rows.append((2 * i, " ".join(hot + own)))
+        if i < 80:  # a chain of three texts, each about 0.8 to 0.9 like the one before
+            for k in (1, 2):
+                cut = rng.randrange(9, 14)
+                own = own[:-cut] + [f"z{i}x{k}x{j}" for j in range(cut)]
+                rows.append((2 * i + 1 if k == 1 else 10_000 + i, " ".join(hot + own)))
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    wanted = brute_classes(rows)
+    assert sum(c != k for k, c in wanted.items()) > 100
+    assert {r.doc_id: r.class_id for r in n.near_duplicates(df).collect()} == wanted
+
+
+def test_prefixes_of_similar_sets_meet():
+    rng = np.random.default_rng(2)
+    for _ in range(200):
+        pool = np.unique(rng.integers(0, 2**63, 60).astype(np.uint64))
+        factors = rng.choice([0.5, 0.7, 1.0], len(pool))
+        sets = [(np.sort(i), rng.integers(1, 3, len(i))) for i in (np.flatnonzero(rng.random(len(pool)) < 0.93) for _ in range(2))]
+        (a, wa), (b, wb) = [(pool[i], (t * factors[i]).astype(np.float32)) for i, t in sets]
+        if n.similarity((a, wa), (b, wb)) >= n.LEAST:
+            (one, rest, whole), (two, rest_2, whole_2) = [n.prefix(s, w, factors[i]) for (s, w), (i, _) in zip(((a, wa), (b, wb)), sets, strict=True)]
+            met, i, j = np.intersect1d(one, two, return_indices=True)
+            assert any(min(rest[x], rest_2[y]) * 1.8 >= 0.8 * (whole + whole_2) * (1 - n.SLACK) for x, y in zip(i, j, strict=True))
