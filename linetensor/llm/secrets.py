@@ -1,7 +1,8 @@
 """Secret scans with a recursive decoding worklist.
 
 Layer 0 is the text itself. Each layer is scanned for the kinds below, then unwrapped: percent
-escapes, Unicode escapes, base64 and hexadecimal runs, and compressed data inside those. What comes
+escapes, Unicode escapes, base64 (also over lines) and hexadecimal runs at every alignment, and
+compressed data inside any of those; bytes that are not UTF-8 read as Latin-1. What comes
 out is a new layer, unless the same characters were seen before from the same place (so a cycle
 ends), and goes on the worklist until nothing new turns up. Every character of a layer knows which stretch of
 the original text it came from, so that a find in any layer is reported as a span of the text.
@@ -41,7 +42,17 @@ ASSIGN_LEAST = 6
 PERCENT = re.compile(r"(?:%[0-9A-Fa-f]{2})+")
 UNICODE = re.compile(r"\\u[dD][89abAB][0-9A-Fa-f]{2}\\u[dD][c-fC-F][0-9A-Fa-f]{2}|\\u[0-9A-Fa-f]{4}|\\u\{[0-9A-Fa-f]{1,6}\}|\\U[0-9A-Fa-f]{8}|\\x[0-9A-Fa-f]{2}")
 RUN = re.compile(r"[A-Za-z0-9+/_-]{16,}={0,2}")
-HEX_RUN = re.compile(r"(?:[0-9A-Fa-f]{2}){12,}")
+WRAPPED = re.compile(r"(?<![A-Za-z0-9+/_-])[A-Za-z0-9+/_-]{16,}+(?:\r?\n[\x20\t]*[A-Za-z0-9+/_-]+)+={0,2}")
+HEX_RUN = re.compile(r"[0-9A-Fa-f]{24,}")
+#: Compressed bytes behind escapes: where they may begin, and what goes on with them.
+PACKED = {
+    "url": (re.compile(r"%1[fF]%8[bB]|(?:%78|x)%(?:01|5[eE]|9[cC]|[dD][aA])"), re.compile(r"%[0-9A-Fa-f]{2}|[!-~]")),
+    "unicode": (re.compile(r"\\(?:x|u00)1[fF]\\(?:x|u00)8[bB]|(?:\\(?:x|u00)78|x)\\(?:x|u00)(?:01|5[eE]|9[cC]|[dD][aA])"), re.compile(r"\\(?:x|u00)[0-9A-Fa-f]{2}|\\[abfnrtv0\\'\"]|[\x20-~]")),
+}
+SHORT = dict(zip("abfnrtv0", b"\a\b\f\n\r\t\v\0", strict=True))
+MAGIC = re.compile(rb"\x1f\x8b\x08|\x78[\x01\x5e\x9c\xda]")
+#: The shortest find, or wrapping of one, has so many plain characters.
+PLAIN = re.compile(r"[\x20-\x7e\t\r\n]{12,}")
 #: Bytes of decompressed data in one text.
 LARGEST = 16 << 20
 
@@ -107,19 +118,21 @@ def _escapes(layer: Layer, pattern: re.Pattern, decode, how: str) -> Layer | Non
     return Layer("".join(pieces), starts, ends, f"{layer.how}>{how}")
 
 
-def _percent(run: str) -> list[tuple[str, int, int]] | None:
-    try:
-        decoded = bytes.fromhex(run.replace("%", "")).decode("utf-8")
-    except UnicodeDecodeError:
-        return None
+def _percent(run: str) -> list[tuple[str, int, int]]:
     out, at = [], 0
-    for char in decoded:
-        size = len(char.encode("utf-8")) * 3
-        out.append((char, at, at + size))
-        at += size
+    for char, size in _lossy(bytes.fromhex(run.replace("%", ""))):
+        out.append((char, at, at + 3 * size))
+        at += 3 * size
     return out
 
 
+def _lossy(raw: bytes) -> Iterator[tuple[str, int]]:
+    """Characters and their bytes: UTF-8, and Latin-1 for bytes that are not."""
+    for char in raw.decode("utf-8", "surrogateescape"):
+        code = ord(char)
+        yield (chr(code - 0xDC00), 1) if 0xDC80 <= code <= 0xDCFF else (char, len(char.encode("utf-8")))
+
+
 def _unicode(run: str) -> list[tuple[str, int, int]] | None:
     codes = [int(x, 16) for x in re.findall(r"[0-9A-Fa-f]{2,8}|(?<=\{)[0-9A-Fa-f]+", run.replace("\\x", "").replace("\\u", " ").replace("\\U", " ").replace("{", "").replace("}", ""))] or [0x110000]
     code = codes[0] if len(codes) == 1 else 0x10000 + ((codes[0] - 0xD800) << 10) + (codes[1] - 0xDC00)
@@ -128,8 +141,8 @@ def _unicode(run: str) -> list[tuple[str, int, int]] | None:
     return [(chr(code), 0, len(run))]
 
 
-def _inflate(raw: bytes, room: int) -> bytes | None:
-    """Decompressed bytes of gzip or zlib data; None if it is neither or has no room."""
+def _inflate(raw: bytes, room: int) -> tuple[bytes, int] | None:
+    """Decompressed bytes of gzip or zlib data, and how many it took; None if it is neither or has no room."""
     if raw[:2] == b"\x1f\x8b":
         window = 31
     elif len(raw) > 2 and raw[0] == 0x78 and (raw[0] * 256 + raw[1]) % 31 == 0:
@@ -139,67 +152,76 @@ def _inflate(raw: bytes, room: int) -> bytes | None:
     try:
         engine = zlib.decompressobj(window)
         out = engine.decompress(raw, room)
-        return out if engine.eof else None
+        return (out, len(raw) - len(engine.unused_data)) if engine.eof else None
     except zlib.error:
         return None
 
 
-def _text_of(raw: bytes) -> str | None:
-    """The bytes as a text worth scanning: UTF-8 that is nearly all printable."""
-    try:
-        text = raw.decode("utf-8")
-    except UnicodeDecodeError:
-        return None
-    odd = sum(not (c.isprintable() or c in "\t\r\n") for c in text[:4096])
-    return text if text and odd * 20 <= min(len(text), 4096) else None
+def _unpacked(raw: bytes, room: list[int]) -> tuple[str, str, int] | None:
+    """The text in compressed bytes, however often compressed, its layers' names, and how many of the bytes it took."""
+    packed, taken = "", 0
+    while room[0] > 0 and (inflated := _inflate(raw, room[0])) is not None:
+        raw, used = inflated
+        room[0] -= len(raw)
+        taken, packed = taken or used, packed + ">deflate"
+    return ("".join(c for c, _ in _lossy(raw)), packed, taken) if packed and raw else None
 
 
-def _run_bytes(run: str) -> Iterator[tuple[str, bytes]]:
-    if HEX_RUN.fullmatch(run):
-        yield "hex", bytes.fromhex(run)
-    body = run.rstrip("=")
-    if len(body) % 4 == 1:
-        body = body[:-1]
-    try:
-        yield "base64", binascii.a2b_base64(body.replace("-", "+").replace("_", "/") + "=" * (-len(body) % 4))
-    except binascii.Error:
+def _layers(layer: Layer, raw: bytes, how: str, place, room: list[int]) -> Iterator[Layer]:
+    """What lies in decoded bytes: compressed data from any place on, and readable stretches; place(i, j) is where bytes lie."""
+    for found in MAGIC.finditer(raw):
+        if out := _unpacked(raw[found.start() :], room):
+            yield Layer(out[0], None, None, f"{layer.how}>{how}{out[1]}", layer.place(*place(found.start(), found.start() + out[2])))
+    chars, starts, ends, byte = [], array("q"), array("q"), 0
+    if not PLAIN.search(raw.decode("latin-1")):
         return
+    for char, size in _lossy(raw):
+        a, b = layer.place(*place(byte, byte + size))
+        chars.append(char)
+        starts.append(a)
+        ends.append(b)
+        byte += size
+    yield Layer("".join(chars), starts, ends, f"{layer.how}>{how}")
 
 
 def _runs(layer: Layer, room: list[int]) -> Iterator[Layer]:
-    for found in RUN.finditer(layer.text):
-        for how, raw in _run_bytes(found.group()):
-            inflated, packed = _inflate(raw, room[0]), ""
-            while inflated is not None:
-                room[0] -= len(inflated)
-                raw, packed = inflated, packed + ">deflate"
-                inflated = _inflate(raw, room[0]) if room[0] > 0 else None
-            text = _text_of(raw)
-            if text is None:
-                continue
-            if packed:
-                yield Layer(text, None, None, f"{layer.how}>{how}{packed}", layer.place(*found.span()))
-                continue
-            starts, ends, byte = array("q"), array("q"), 0
-            for char in text:
-                size = len(char.encode("utf-8"))
-                if how == "hex":
-                    a, b = found.start() + 2 * byte, found.start() + 2 * (byte + size)
-                else:
-                    a, b = found.start() + byte // 3 * 4, min(found.end(), found.start() + ((byte + size - 1) // 3 + 1) * 4)
-                byte += size
-                a, b = layer.place(a, b)
-                starts.append(a)
-                ends.append(b)
-            yield Layer(text, starts, ends, f"{layer.how}>{how}")
+    """Base64 and hexadecimal runs at every alignment, as what they are glued to may be letters of theirs; base64 also over lines."""
+    for found in HEX_RUN.finditer(layer.text):
+        for k in (0, 1):
+            body = found.group()[k:]
+            at = found.start() + k
+            yield from _layers(layer, bytes.fromhex(body[: len(body) // 2 * 2]), "hex", lambda i, j, at=at: (at + 2 * i, at + 2 * j), room)
+    for pattern in (RUN, WRAPPED):
+        for found in pattern.finditer(layer.text):
+            kept = [i for i in range(*found.span()) if layer.text[i] not in "=\r\n\t "]
+            body = "".join([layer.text[i] for i in kept]).replace("-", "+").replace("_", "/")
+            for k in range(4):
+                own = body[k : len(body) - ((len(body) - k) % 4 == 1)]
+                raw = binascii.a2b_base64(own + "=" * (-len(own) % 4))
+                yield from _layers(layer, raw, "base64", lambda i, j, k=k, kept=kept: (kept[k + i // 3 * 4], kept[min(len(kept), k + ((j - 1) // 3 + 1) * 4) - 1] + 1), room)
+
+
+def _packed_escapes(layer: Layer, how: str, room: list[int]) -> Iterator[Layer]:
+    """Compressed bytes that are written as escapes, with or without plain characters between them."""
+    first, unit = PACKED[how]
+    for found in first.finditer(layer.text):
+        raw, ends, at = bytearray(), array("q"), found.start()
+        while piece := unit.match(layer.text, at):
+            said, at = piece.group(), piece.end()
+            ends.append(at)
+            raw.append(ord(said) if len(said) == 1 else SHORT.get(said[1], ord(said[1])) if len(said) == 2 else int(said[-2:], 16))
+        if out := _unpacked(bytes(raw), room):
+            yield Layer(out[0], None, None, f"{layer.how}>{how}{out[1]}", layer.place(found.start(), ends[out[2] - 1]))
 
 
 def unwrap(layer: Layer, room: list[int]) -> Iterator[Layer]:
     text = layer.text
     if "%" in text and (out := _escapes(layer, PERCENT, _percent, "url")):
         yield out
+        yield from _packed_escapes(layer, "url", room)
     if "\\" in text and (out := _escapes(layer, UNICODE, _unicode, "unicode")):
         yield out
+        yield from _packed_escapes(layer, "unicode", room)
     yield from _runs(layer, room)
 
 

@@ -1,6 +1,11 @@
+import base64
+import gzip
 import hashlib
 import itertools
+import random
 import re
+import urllib.parse
+import zlib
 
 import pytest
 
@@ -64,3 +69,17 @@ def test_query(spark):
         assert (rows[i].n_assign, rows[i].n_access, rows[i].n_hex) == tuple(sum(k == n for _, k, _ in base) for n in range(3))
     assert rows[len(TEXTS) + 1].spans == "assign:0:24"
     assert secrets.secret_digest(df.limit(0)).count() == 0
+
+
+def test_escaped_glued_and_wrapped_nestings():
+    plain = f"key {SECRET} end".encode()
+    packed = gzip.compress(plain, mtime=0)
+    lines = base64.encodebytes(b"some words go before the key, as in a letter: " + plain).decode()
+    noise = bytes(random.Random(1).randrange(256) for _ in range(90))
+    for inside in [
+        "".join(f"%{b:02X}" for b in packed), urllib.parse.quote(packed), urllib.parse.quote(zlib.compress(plain)), "".join(f"\\x{b:02x}" for b in packed),
+        "".join(f"\\u{b:04x}" for b in packed), repr(packed), f"%FF{SECRET[:4]}%{ord('A'):02X}{SECRET[5:]}%FE", lines, base64.encodebytes(gzip.compress(noise + plain, mtime=0)).decode(),
+        *[glue + base64.b64encode(x).decode() for glue in ("https://h/api/v1/", "key-", "a_", "abc") for x in (plain, packed)], "key-" + plain.hex(), "f" + packed.hex(), base64.b64encode(noise + plain).decode(),
+    ]:
+        spans = [(a, b) for kind, a, b, how in secrets.find_secrets(f"before\n{inside} after") if kind == "access"]
+        assert spans and all(7 <= a < b <= 7 + len(inside) for a, b in spans), inside
