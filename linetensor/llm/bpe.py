@@ -4,7 +4,9 @@ For a byte-pair vocabulary in which every merge makes one token, the encoding of
 fixed by the last token of each of its prefixes: token ``t`` ends the encoding of ``p`` exactly
 if the last token of ``p`` without ``t`` and ``t`` stay apart when they are merged side by side.
 So the distinct words of a batch go into a trie, and one depth-first walk extends the last-token
-state symbol by symbol: words with a common beginning share all of its work.
+state symbol by symbol: words with a common beginning share all of its work. The trie is held as its
+sorted words; each word's branch point is the length of what it shares with the word before, so the
+walk keeps one path of states and no nodes.
 
 Cases: a null text reads as the empty text and has no tokens. Strings of added tokens inside a
 text become those tokens. Words beyond ``LONG`` bytes share nothing worth storing and walk the
@@ -15,6 +17,7 @@ do not matter, and an empty table gives an empty table.
 from __future__ import annotations
 
 import array
+import hashlib
 import itertools
 import json
 import re
@@ -28,8 +31,8 @@ from pyspark.sql import functions as F
 
 from .common import arrow_map
 
-#: Symbols of a word beyond which it is not put in the trie; words and pairs that a worker remembers.
-LONG, REMEMBERED, PAIRS = 200, 600_000, 400_000
+#: Symbols of a word beyond which it is not put in the trie; words (also their symbols in all) and pairs that a worker remembers.
+LONG, REMEMBERED, SYMBOLS, PAIRS = 200, 250_000, 4_000_000, 150_000
 END = "</w>"
 #: The contractions that the vocabulary splits off.
 SUFFIXES = "'s|'t|'re|'ve|'m|'ll|'d"
@@ -69,9 +72,7 @@ class PrefixTrieEncoder:
             spec = json.load(file)
         model = spec["model"]
         self.id_of: dict[str, int] = model["vocab"]
-        self.token_of = {i: t for t, i in self.id_of.items()}
         self.special = {t["content"]: t["id"] for t in spec["added_tokens"]}
-        self.token_of.update({i: t for t, i in self.special.items()})
         self.special_split = re.compile("|".join(re.escape(t) for t in sorted(self.special, key=len, reverse=True)) or r"(?!)")
         self.rank: dict[tuple[str, str], int] = {}
         self.born: dict[str, int] = {}
@@ -82,40 +83,40 @@ class PrefixTrieEncoder:
             self.born[left + right] = rank
             self.parts[left + right] = (left, right)
         self.longest = max(len(t.removesuffix(END)) for t in self.id_of)
-        self.ends = {"": self._lengths(""), END: self._lengths(END)}
+        self.inner, self.final = self._lengths(""), self._lengths(END)
         self.apart: dict[tuple[str, str], bool] = {}
         self.bytes = byte_symbols()
         self.of_symbol = {s: b for b, s in enumerate(self.bytes)}
         self.path, self.library = path, None
-        self.decoding = np.array([self.token_of.get(i, "") for i in range(max(self.token_of) + 1)], dtype=object)
+        self.decoding = decoding_table(self.id_of, self.special)
         self._forget()
 
     def _forget(self) -> None:
         """Words remembered: a number for each, and where its ids lie in one flat array."""
         self.number: dict[str | int, int] = {}
+        self.held = 0
         self.flat, self.starts, self.lengths = array.array("i"), array.array("q"), array.array("q")
 
     def _remember(self, word: str | int, ids: Iterable[int]) -> None:
         start = len(self.flat)
         self.flat.extend(ids)
+        self.held += len(word) if isinstance(word, str) else 1
         self.number[word] = len(self.starts)
         self.starts.append(start)
         self.lengths.append(len(self.flat) - start)
 
-    def _lengths(self, end: str) -> dict[str, list[int]]:
-        """By the last three symbols: the lengths of tokens that end so, longest first; by one or two: whether it is a token."""
+    def _lengths(self, end: str) -> dict[str, tuple[int, ...]]:
+        """By the last symbols, three where there are as many: the lengths of tokens that may end so, longest first."""
         by: dict[str, set[int]] = {}
         for token in self.id_of:
-            if token.endswith(END) == bool(end) or not end:
-                if not end and token.endswith(END):
-                    continue
+            if token.endswith(END) == bool(end):
                 symbols = token.removesuffix(end) if end else token
                 by.setdefault(symbols[-3:], set()).add(len(symbols))
-        return {k: sorted(v, reverse=True) for k, v in by.items()}
+        return {k: tuple(sorted(by[k].union(*(by.get(k[-n:], ()) for n in (1, 2))), reverse=True)) for k in by}
 
     def stay_apart(self, left: str, right: str) -> bool:
         """Whether merging the symbols of left and right side by side gives just these two tokens."""
-        if len(self.apart) > PAIRS:
+        if len(self.apart) >= PAIRS:
             self.apart.clear()
         born, ends = self.born, (left, right)
         never = len(self.rank)
@@ -137,65 +138,63 @@ class PrefixTrieEncoder:
         self.apart[ends] = result
         return result
 
-    def _last(self, tail: str, lasts: list[str], end: str) -> str:
-        """The last token of the prefix that ends in tail; lasts[d] is the last token at depth d."""
-        depth, ids, apart, ends = len(lasts), self.id_of, self.apart, self.ends[end]
-        for symbols in (tail[-3:], tail[-2:], tail[-1:]):
-            for n in ends.get(symbols, ()):
-                if n > depth:
+    def _last(self, symbols: str, at: int, lasts: list[str], end: str) -> str:
+        """The last token of the first ``at`` symbols; lasts[d] is the last token at depth d."""
+        ids, apart = self.id_of, self.apart
+        table = self.final if end else self.inner
+        for width in (3, 2, 1):
+            for n in table.get(symbols[max(0, at - width) : at], ()) if width <= at else ():
+                if n > at:
                     continue
-                token = tail[-n:] + end
+                token = symbols[at - n : at] + end
                 if token in ids:
-                    if n == depth:
+                    if n == at:
                         return token
-                    before = lasts[depth - n]
+                    before = lasts[at - n]
                     fits = apart.get((before, token))
-                    if fits is None:
-                        fits = self.stay_apart(before, token)
-                    if fits:
+                    if fits if fits is not None else self.stay_apart(before, token):
                         return token
         raise ValueError("the vocabulary lacks a single byte")
 
-    def _unwind(self, token: str, lasts: list[str], depth: int) -> tuple[int, ...]:
+    def encode_words(self, words: Iterable[str]) -> None:
+        """Walk the trie of the words (in byte symbols) once, depth first; results are remembered.
+
+        lasts and ids hold, for every depth of the path, the last token and the ids up to there.
+        """
+        symbols_of, last, id_of = self.bytes, self._last, self.id_of
+        rows = [(w if w.isascii() and w.isalnum() else "".join([symbols_of[b] for b in w.encode("utf-8", "replace")]), w) for w in words]
+        rows.sort()
+        lasts, ids, above = [""], [()], ""
+        for symbols, word in rows:
+            depth = len(symbols)
+            if depth > LONG:
+                self._remember(word, self._along(symbols))
+                continue
+            shared, most = 0, min(len(lasts), depth) - 1
+            while shared < most and above[shared] == symbols[shared]:
+                shared += 1
+            del lasts[shared + 1 :], ids[shared + 1 :]
+            for at in range(shared + 1, depth):
+                token = last(symbols, at, lasts, "")
+                lasts.append(token)
+                ids.append((*ids[at - len(token)], id_of[token]))
+            token = last(symbols, depth, lasts, END)
+            self._remember(word, (*ids[depth - len(token) + len(END)], id_of[token]))
+            above = symbols
+
+    def _along(self, symbols: str) -> list[int]:
+        """The same recurrence on one long word, whose ids are gathered from the end."""
+        lasts = [""]
+        for at in range(1, len(symbols)):
+            lasts.append(self._last(symbols, at, lasts, ""))
+        token, depth = self._last(symbols, len(symbols), lasts, END), len(symbols)
         found = [self.id_of[token]]
-        depth -= len(token.removesuffix(END))
+        depth -= len(token) - len(END)
         while depth > 0:
             token = lasts[depth]
             found.append(self.id_of[token])
             depth -= len(token)
-        return tuple(reversed(found))
-
-    def encode_words(self, words: Iterable[str]) -> None:
-        """Put the words (in byte symbols) in a trie and walk it once; results are remembered."""
-        trie: dict = {}
-        for word in words:
-            symbols = word if word.isascii() and word.isalnum() else "".join([self.bytes[b] for b in word.encode("utf-8", "replace")])
-            if len(symbols) > LONG:
-                self._remember(word, self._along(symbols))
-                continue
-            node = trie
-            for symbol in symbols[:-1]:
-                node = node.setdefault(symbol, {})
-            node.setdefault("", {})[symbols[-1]] = word
-        # depth first: lasts and path are cut back to the depth of the node that is taken up
-        lasts, path = [""], ""
-        stack: list[tuple[int, str, dict]] = [(0, "", trie)]
-        while stack:
-            depth, symbol, node = stack.pop()
-            if depth:
-                del lasts[depth:]
-                path = path[: depth - 1] + symbol
-                lasts.append(self._last(path, lasts, ""))
-            for final, word in node.pop("", {}).items():
-                token = self._last(path + final, lasts, END)
-                self._remember(word, self._unwind(token, lasts, depth + 1))
-            stack.extend((depth + 1, s, child) for s, child in node.items())
-
-    def _along(self, symbols: str) -> tuple[int, ...]:
-        lasts = [""]
-        for i in range(1, len(symbols)):
-            lasts.append(self._last(symbols[max(0, i - self.longest) : i], lasts, ""))
-        return self._unwind(self._last(symbols[-self.longest :], lasts, END), lasts, len(symbols))
+        return found[::-1]
 
     def words(self, text: str) -> list[str]:
         """Words of a text without added tokens, normalised."""
@@ -231,7 +230,7 @@ class PrefixTrieEncoder:
     def encode_flat(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all texts in a row, and where each text's ids end (from 0)."""
         split = [self.pieces(t) for t in texts]
-        if len(self.number) > REMEMBERED:
+        if len(self.number) > REMEMBERED or self.held > SYMBOLS:
             self._forget()
         fresh = set().union(*split).difference(self.number)
         plain = {w for w in fresh if isinstance(w, str)}
@@ -253,10 +252,26 @@ class PrefixTrieEncoder:
 
     def decode(self, ids: Iterable[int]) -> str:
         """Tokens joined by one space: the vocabulary file names no decoder."""
-        return " ".join(map(self.token_of.__getitem__, ids))
+        return " ".join(map(self.decoding.__getitem__, ids))
+
+
+def decoding_table(id_of: dict[str, int], special: dict[str, int]) -> np.ndarray:
+    """Token by id."""
+    table = np.full(max([*id_of.values(), *special.values()]) + 1, "", dtype=object)
+    for tokens in (id_of, special):
+        for token, i in tokens.items():
+            table[i] = token
+    return table
+
+
+def decode_flat(table: np.ndarray, ids: np.ndarray, ends: np.ndarray) -> list[str]:
+    """The texts of lists of ids that lie behind one another; text k is between ends[k] and ends[k + 1]."""
+    tokens = table[ids].tolist()
+    return [" ".join(tokens[a:b]) for a, b in itertools.pairwise(ends.tolist())]
 
 
 _ENCODERS: dict[str, PrefixTrieEncoder] = {}
+_TABLES: dict[str, np.ndarray] = {}
 
 
 def encoder(path: str) -> PrefixTrieEncoder:
@@ -265,6 +280,15 @@ def encoder(path: str) -> PrefixTrieEncoder:
     return _ENCODERS[path]
 
 
+def decoder(path: str) -> np.ndarray:
+    """The decoding table alone, which needs no merges."""
+    if path not in _TABLES:
+        with open(path, encoding="utf-8") as file:
+            spec = json.load(file)
+        _TABLES[path] = decoding_table(spec["model"]["vocab"], {t["content"]: t["id"] for t in spec["added_tokens"]})
+    return _TABLES[path]
+
+
 def encode_documents(df: DataFrame, tokenizer_path: str, key: str = "doc_id", text: str = "text") -> DataFrame:
     """One row per input row: the key and ``ids`` array<int>."""
 
@@ -283,12 +307,11 @@ def decode_documents(df: DataFrame, tokenizer_path: str, key: str = "doc_id", id
     """One row per input row: the key, ``ids`` and ``decoded``; null ids decode to the empty text."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        own = encoder(tokenizer_path)
+        table = decoder(tokenizer_path)
         for batch in batches:
             rows = batch.column(1).fill_null([]) if batch.column(1).null_count else batch.column(1)
-            tokens = own.decoding[rows.flatten().to_numpy(zero_copy_only=False)].tolist()
             ends = np.concatenate([[0], rows.value_lengths().to_numpy(zero_copy_only=False).cumsum()]).astype(int)
-            texts = [" ".join(tokens[a:b]) for a, b in itertools.pairwise(ends)]
+            texts = decode_flat(table, rows.flatten().to_numpy(zero_copy_only=False), ends)
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(texts, pa.string())], names=["key", "ids", "decoded"])
 
     rows = df.select(F.col(key).alias("key"), F.col(ids).cast("array<int>").alias("ids"))
@@ -296,11 +319,19 @@ def decode_documents(df: DataFrame, tokenizer_path: str, key: str = "doc_id", id
 
 
 def round_trip_digest(df: DataFrame, tokenizer_path: str, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """Per document: n_tokens, ids_sha256 and decoded_sha256, from the operators' own outputs."""
-    done = decode_documents(encode_documents(df, tokenizer_path, key, text), tokenizer_path, key)
-    return done.select(
-        F.col(key),
-        F.size("ids").cast("long").alias("n_tokens"),
-        F.sha2(F.encode(F.array_join(F.col("ids").cast("array<string>"), " "), "UTF-8"), 256).alias("ids_sha256"),
-        F.sha2(F.encode(F.col("decoded"), "UTF-8"), 256).alias("decoded_sha256"),
-    )
+    """Per document: n_tokens, ids_sha256 and decoded_sha256, of the ids that the encoder gives and the text that the decoder makes of them.
+
+    Both run in one worker, so that neither ids nor texts travel: the JVM gets the digests.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own = encoder(tokenizer_path)
+        numerals = np.array([str(i) for i in range(len(own.decoding))], dtype=object)
+        digest = lambda texts: pa.array([hashlib.sha256(t.encode("utf-8", "replace")).hexdigest() for t in texts], pa.string())
+        for batch in batches:
+            ids, ends = own.encode_flat([t or "" for t in batch.column(1).to_pylist()])
+            counts = pa.array(np.diff(ends).astype(np.int64))
+            yield pa.RecordBatch.from_arrays([batch.column(0), counts, digest(decode_flat(numerals, ids, ends)), digest(decode_flat(own.decoding, ids, ends))], names=["key", "n_tokens", "ids_sha256", "decoded_sha256"])
+
+    rows = df.select(F.col(key).alias("key"), F.col(text).alias("text"))
+    return arrow_map(rows, run, f"key {rows.schema['key'].dataType.simpleString()}, n_tokens long, ids_sha256 string, decoded_sha256 string").withColumnRenamed("key", key)
