@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import uuid
+import weakref
 from collections.abc import Callable, Iterable, Iterator
 
 import pyarrow as pa
@@ -67,11 +68,31 @@ def _own_folder(spark: SparkSession) -> str:
     return spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/_checkpoints"
 
 
-def written(df: DataFrame) -> DataFrame:
-    """Cut the lineage: write to the shared folder and read again, so that a lost executor costs no recomputation."""
+def written(df: DataFrame, most: int | None = None) -> DataFrame:
+    """Cut the lineage: write to the shared folder and read again, so that a lost executor costs no recomputation.
+
+    most: how many tasks are enough for it, from a count of rows, so that small tables are not strewn over many files.
+    """
     path = shared_folder(df.sparkSession)
+    df = df.coalesce(most) if most else df
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    _FOLDERS[id(out)] = (weakref.ref(out), path)
+    return out
+
+
+#: Where written tables lie, by the frame that reads them.
+_FOLDERS: dict[int, tuple[weakref.ref, str]] = {}
+
+
+def discard(*tables: DataFrame) -> None:
+    """Remove the folders of written tables that nothing reads any more: what came of them is written as well."""
+    for df in tables:
+        held = _FOLDERS.pop(id(df), None)
+        if held and held[0]() is df:
+            jvm = df.sparkSession.sparkContext._jvm
+            path = jvm.org.apache.hadoop.fs.Path(held[1])
+            path.getFileSystem(df.sparkSession.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
 
 
 def partitions(spark: SparkSession) -> int:

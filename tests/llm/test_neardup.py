@@ -1,22 +1,27 @@
+import math
 import random
+from collections import Counter, defaultdict
 
 import numpy as np
 from harness import ROOT
 
 from linetensor.llm import neardup as n
+from linetensor.llm.decontaminate import WORD
 from linetensor.llm.registry import QUERIES
 
 
 def brute_classes(docs):
-    """Classes by comparing every pair, with the same weights."""
-    sets, counts = {}, np.zeros(n.SKETCH, np.int64)
+    """Classes by comparing all pairs that share a shingle; shingles are words, and frequencies are counted exactly."""
+    sets = {}
     for k, t in docs:
-        hashes = n.word_hashes(t)
-        if len(hashes):
-            sets[k] = n.weighted_set(hashes)
-            np.add.at(counts, ((sets[k][0] >> np.uint64(7)) % np.uint64(n.SKETCH)).astype(np.intp), 1)
-    idf = n.idf_factors(counts, len(sets))
-    weighted = {k: (s, n.weights(s, c, idf)) for k, (s, c) in sets.items()}
+        words = WORD.findall((t or "").lower())
+        if words:
+            sets[k] = Counter(tuple(words[i : i + 5]) for i in range(max(1, len(words) - 4)))
+    frequency = Counter(x for s in sets.values() for x in s)
+    floor = max(1.0, len(sets) / 1024)
+    factor = {x: 0.5 + 0.5 * math.log(len(sets) / c) / math.log(len(sets) / floor) if c > floor else 1.0 for x, c in frequency.items()}
+    weighted = {k: {x: c * factor[x] for x, c in s.items()} for k, s in sets.items()}
+    whole = {k: sum(s.values()) for k, s in weighted.items()}
     parent = {k: k for k, _ in docs}
 
     def find(x):
@@ -24,15 +29,17 @@ def brute_classes(docs):
             x = parent[x]
         return x
 
-    held = {}
-    for k, (s, _) in weighted.items():
-        near = {j for x in s.tolist() for j in held.get(x, ())}
-        for j in near:
-            if n.similarity(weighted[j], weighted[k]) >= n.LEAST:
+    held = defaultdict(list)
+    for k, s in weighted.items():
+        common = Counter()
+        for x, w in s.items():
+            for j in held[x]:
+                common[j] += min(w, weighted[j][x])
+            held[x].append(k)
+        for j, c in common.items():
+            if c >= n.LEAST * (whole[j] + whole[k] - c):
                 a, b = sorted((find(j), find(k)))
                 parent[b] = a
-        for x in s.tolist():
-            held.setdefault(x, []).append(k)
     return {k: find(k) for k in parent}
 
 
@@ -45,7 +52,7 @@ def test_query_matches_brute_force(spark):
 
 def test_agreement_follows_similarity():
     rng = np.random.default_rng(5)
-    idf = np.ones(n.SKETCH, np.float32)
+    idf = n.Idf(np.zeros(0, np.uint64), np.zeros(0, np.float32))
     agree, wanted = [], []
     for _ in range(60):
         common, own = rng.integers(20, 200), rng.integers(1, 60)
@@ -98,7 +105,7 @@ def test_true_pairs_among_boilerplate_match_brute_force(spark):
                 rows.append((2 * i + 1 if k == 1 else 10_000 + i, " ".join(hot + own)))
     df = spark.createDataFrame(rows, "doc_id long, text string")
     wanted = brute_classes(rows)
-    assert sum(c != k for k, c in wanted.items()) > 100
+    assert sum(c != k for k, c in wanted.items()) > 80  # the fixture holds true pairs
     assert {r.doc_id: r.class_id for r in n.near_duplicates(df).collect()} == wanted
 
 
@@ -113,3 +120,56 @@ def test_prefixes_of_similar_sets_meet():
             (one, rest, whole), (two, rest_2, whole_2) = [n.prefix(s, w, factors[i]) for (s, w), (i, _) in zip(((a, wa), (b, wb)), sets, strict=True)]
             met, i, j = np.intersect1d(one, two, return_indices=True)
             assert any(min(rest[x], rest_2[y]) * 1.8 >= 0.8 * (whole + whole_2) * (1 - n.SLACK) for x, y in zip(i, j, strict=True))
+
+
+def test_frequencies_are_exact(spark):
+    rng = random.Random(4)
+    docs = [(i, " ".join(rng.choices(["a", "b", "c"], k=30)) + f" own{i}") for i in range(3000)]
+    rows = spark.createDataFrame(docs, "key long, text string").repartition(7)
+    idf = n._idf(n._count(rows), rows)
+    frequency = Counter()
+    for _, t in docs:
+        frequency.update(n.weighted_set(n.word_hashes(t))[0].tolist())
+    floor = 3000 / 1024
+    wanted = {x: 0.5 + 0.5 * math.log(3000 / c) / math.log(1024) for x, c in frequency.items() if c > floor}
+    assert dict(zip(idf.shingles.tolist(), idf.factors.tolist(), strict=True)).keys() == wanted.keys()
+    assert np.allclose(idf.factors, [wanted[x] for x in idf.shingles.tolist()])
+    assert (np.diff(idf.shingles.astype(object)) > 0).all() and len(wanted) > 200
+
+
+def test_words_are_those_of_the_pattern():
+    texts = ["", None, "a_b Ünï ΑΣ ΑΣ1 x\u00b2 İ 中文 𝔸b", "x" * (n.CHARACTERS + 5) + " y", "word " * (n.CHARACTERS // 2), "?!"]
+    got = n.words_of_all(texts)
+    by_word = {}
+    for t, hashes in zip(texts, got, strict=True):
+        words = WORD.findall((t or "").lower())
+        assert len(words) == len(hashes)
+        for w, h in zip(words, hashes.tolist(), strict=True):
+            assert by_word.setdefault(w, h) == h
+    assert len(set(by_word.values())) == len(by_word)
+
+
+def test_several_clusters_in_large_groups_match_brute_force(spark):
+    """Boilerplate that all share, clusters of near copies of any size that no pivot needs to hit, and chains."""
+    rng = random.Random(8)
+    hot = [f"h{i}" for i in range(150)]
+    rows, at = [], 0
+    for c in range(12):
+        base = [f"c{c}x{j}" for j in range(60)]
+        for _ in range([2, 3, 14, 40][c % 4]):
+            words = hot + base
+            for _ in range(rng.randrange(0, 4)):
+                words[rng.randrange(len(words))] = f"e{at}x{rng.randrange(9)}"
+            rows.append((at, " ".join(words)))
+            at += 1
+    rows += [(at + i, " ".join(hot + [f"s{i}x{j}" for j in range(60)])) for i in range(120)]
+    rng.shuffle(rows)
+    wanted = brute_classes(rows)
+    assert {r.doc_id: r.class_id for r in n.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string")).collect()} == wanted
+    assert len(set(wanted.values())) > 100
+
+
+def test_small_cells_and_samples_match_brute_force(spark, monkeypatch):
+    for name, value in (("TOGETHER", 4), ("PIVOTS", 1), ("PARTNERS", 3), ("PAYS", 1000)):
+        monkeypatch.setattr(n, name, value)
+    test_several_clusters_in_large_groups_match_brute_force(spark)
