@@ -19,11 +19,12 @@ from pyspark.sql import DataFrame, SparkSession
 from . import measures
 from .functions.bitplan import BitPlan
 from .operators import baselines
-from .operators.factors import RANK, init_factors
+from .operators.factors import RANK
 from .operators.kernels import kr, kr_all_modes
 from .operators.packed import PackedTensor, TensorShape, pack, segment, sort_line
 from .plans.choose import choose_resolution, tensor_class
 from .plans.cpals import cp_als, packed_kernel
+from .queries import factors_for
 from .sources.tensors import checkpointed
 from .sources.workloads import WORKLOADS
 
@@ -43,7 +44,7 @@ def _stored(spark: SparkSession, d: str, name: str) -> tuple[DataFrame, PackedTe
     coo = checkpointed(w.build(spark, d))
     t = segment(pack(coo, names=w.modes), SEGMENTS)
     t = t.with_df(checkpointed(t.df), boxes=checkpointed(t.boxes))
-    return coo, t, init_factors(spark, t.shape.lengths, RANK, w.denominator)
+    return coo, t, factors_for(t, w)
 
 
 def _mean(run: Callable[[], DataFrame], runs: int = 2) -> float:

@@ -15,6 +15,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.bitplan import BitPlan, encode
+from ..plans.choose import listable
 from .factors import rank_of
 from .kernels import _products, _sums
 from .packed import coord_names
@@ -160,7 +161,8 @@ def csf_kr(t: FiberTree, factors: Sequence[DataFrame], mode: int) -> DataFrame:
     ys = [f"y{r}" for r in range(rank)]
 
     def times(rows: DataFrame, m: int) -> DataFrame:
-        side = F.broadcast(factors[m].select(F.col("idx").alias(f"c{m + 1}"), *[f"f{r}" for r in range(rank)]))
+        side = factors[m].select(F.col("idx").alias(f"c{m + 1}"), *[f"f{r}" for r in range(rank)])
+        side = F.broadcast(side) if listable(t.lengths[m], rank) else side
         held = [c for c in rows.columns if c not in ys and c != f"c{m + 1}"]
         return rows.join(side, f"c{m + 1}").select(*held, *([f"c{m + 1}"] if m in t.levels[:at] else []), *[(F.col(y) * F.col(f"f{r}")).alias(y) for r, y in enumerate(ys)])
 

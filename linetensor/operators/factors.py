@@ -21,9 +21,14 @@ def factor_sql(mode: int, idx: str, r: int | str, denominator: int) -> str:
     return f"((({idx} * 31 + {r} * 17 + {mode * 7}) % {denominator})::DOUBLE / {denominator})"
 
 
-def init_factor(spark: SparkSession, length: int, rank: int, mode: int, denominator: int = 64) -> DataFrame:
-    """(idx, f0..f{R-1}), computed row by row from the index."""
-    rows = spark.range(length).withColumnRenamed("id", "idx")
+def _indices(spark: SparkSession, length: int, indices: DataFrame | None) -> DataFrame:
+    """Every index of a mode, or only the given ones (idx), for modes too long to be listed."""
+    return spark.range(length).withColumnRenamed("id", "idx") if indices is None else indices.select("idx")
+
+
+def init_factor(spark: SparkSession, length: int, rank: int, mode: int, denominator: int = 64, indices: DataFrame | None = None) -> DataFrame:
+    """(idx, f0..f{R-1}), computed row by row from the index; a row depends on its index alone."""
+    rows = _indices(spark, length, indices)
     return rows.select("idx", *[factor_value(mode, F.col("idx"), r, denominator).alias(f"f{r}") for r in range(rank)])
 
 
@@ -31,9 +36,9 @@ def init_factors(spark: SparkSession, lengths: Sequence[int], rank: int = RANK,
     return [init_factor(spark, n, rank, m, denominator) for m, n in enumerate(lengths)]
 
 
-def seeded_factor(spark: SparkSession, length: int, rank: int, mode: int, seed: int) -> DataFrame:
+def seeded_factor(spark: SparkSession, length: int, rank: int, mode: int, seed: int, indices: DataFrame | None = None) -> DataFrame:
     """Start values spread by a hash of (seed, mode, index, component), the same in every run."""
-    rows = spark.range(length).withColumnRenamed("id", "idx")
+    rows = _indices(spark, length, indices)
     value = lambda r: (F.pmod(F.xxhash64(F.lit(seed), F.lit(mode), F.col("idx"), F.lit(r)), F.lit(1 << 20)).cast("double") + 0.5) / float(1 << 20)
     return rows.select("idx", *[value(r).alias(f"f{r}") for r in range(rank)])
 

@@ -12,6 +12,8 @@ from ..functions.bitplan import LIMB_BITS, BitPlan, decode, decode_all, encode
 
 #: Top position bits by which ranks are counted: the table of counts has at most two to that power rows.
 RANK_BITS = 12
+#: Cells of a mode by which rows find runs of shared indices.
+COVER_CELLS = 1024
 #: Boxes up to this number are broadcast.
 SMALL_BOXES = 1 << 16
 
@@ -163,6 +165,21 @@ def coverage(b: DataFrame, mode: int) -> DataFrame:
     return swept.where("depth > 1").select(F.col("at").alias("lo"), (F.col("next") - 1).alias("hi"))
 
 
+def with_boundary(rows: DataFrame, runs: DataFrame, length: int, segments: int) -> DataFrame:
+    """rows (idx, …) with ``boundary``: whether a run of shared indices holds idx.
+
+    Runs are cut at the borders of COVER_CELLS equal cells of the mode, so that rows find theirs by an equal key; there is
+    at most one for each cell and two for each segment.
+    """
+    step = F.lit(-(-length // COVER_CELLS))
+    cell = lambda c: F.floor(F.col(c) / step)
+    cut = runs.select(F.struct("lo", "hi").alias("run"), F.explode(F.sequence(cell("lo"), cell("hi"))).alias("cell"))
+    cells = cut.groupBy("cell").agg(F.collect_list("run").alias("runs"))
+    met = rows.withColumn("cell", cell("idx")).join(F.broadcast(cells) if segments <= SMALL_BOXES else cells, "cell", "left")
+    inside = F.exists("runs", lambda r: (r["lo"] <= F.col("idx")) & (F.col("idx") <= r["hi"]))
+    return met.select(*rows.columns, F.coalesce(inside, F.lit(False)).alias("boundary"))
+
+
 def flag_boundary(t: PackedTensor, mode: int, exclusive_by: str = "interval") -> PackedTensor:
     """df with ``boundary``: whether another segment may update the element's output row of this mode.
 
@@ -173,10 +190,7 @@ def flag_boundary(t: PackedTensor, mode: int, exclusive_by: str = "interval") ->
     if exclusive_by == "touch":
         shared = rows.select("idx", "seg").distinct().groupBy("idx").agg((F.count(F.lit(1)) > 1).alias("boundary"))
         return t.with_df(rows.join(shared, "idx").drop("idx"))
-    runs = coverage(t.boxes, mode)
-    hit = F.broadcast(runs.withColumn("boundary", F.lit(True)))
-    flagged = rows.join(hit, (F.col("idx") >= F.col("lo")) & (F.col("idx") <= F.col("hi")), "left")
-    return t.with_df(flagged.withColumn("boundary", F.coalesce("boundary", F.lit(False))).drop("lo", "hi", "idx"))
+    return t.with_df(with_boundary(rows, coverage(t.boxes, mode), t.shape.lengths[mode - 1], t.segments).drop("idx"))
 
 
 def flag_in_spare_bit(t: PackedTensor) -> PackedTensor:

@@ -36,6 +36,13 @@ def choose_by_bytes(nnz: int, partial_rows: int, rank: int, limbs: int) -> str:
     return "buffered" if partial_rows * (8 + 8 * rank) < nnz * (8 * limbs + 16) else "direct"
 
 
-def choose_delivery(length: int, rank: int, limit: int = BROADCAST_BYTES) -> str:
-    """broadcast a factor whose size is below the limit; shuffle it beyond."""
-    return "broadcast" if length * (8 + 8 * rank) <= limit else "shuffle"
+def choose_delivery(length: int, rank: int, nnz: int | None = None, limit: int = BROADCAST_BYTES) -> str:
+    """broadcast a factor whose size is below the limit; beyond, prefetch the rows that occur where they are fewer than the mode is long, else shuffle."""
+    if length * (8 + 8 * rank) <= limit:
+        return "broadcast"
+    return "prefetch" if nnz is not None and nnz < length else "shuffle"
+
+
+def listable(length: int, rank: int) -> bool:
+    """Whether a mode is short enough that a factor may have a row for every index; a longer one has rows for those that occur."""
+    return choose_delivery(length, rank) == "broadcast"

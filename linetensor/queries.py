@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from . import measures
 from .functions.bitplan import LIMB_BITS, BitPlan, decode, encode
 from .operators import algebra, baselines
-from .operators.factors import RANK, factor_sql, gram, init_factors
+from .operators.factors import RANK, factor_sql, gram, init_factor, init_factors
 from .operators.kernels import densify, kr, kr_all_modes, kr_bruteforce, unfold
 from .operators.packed import (
     PackedTensor,
@@ -27,7 +27,7 @@ from .operators.packed import (
     select_box,
     unpack,
 )
-from .plans.choose import choose_resolution, classify_reuse, fiber_reuse, tensor_class
+from .plans.choose import choose_resolution, classify_reuse, fiber_reuse, listable, tensor_class
 from .plans.cpals import cp_als, packed_kernel
 from .sources.workloads import WORKLOADS, Workload
 
@@ -54,7 +54,10 @@ def packed(spark: SparkSession, d: str, w: Workload, kind: str = "adaptive") ->
 
 
 def factors_for(t: PackedTensor, w: Workload, rank: int = RANK) -> list[DataFrame]:
-    return init_factors(t.df.sparkSession, t.shape.lengths, rank, w.denominator)
+    """Factors with a row for every index of a mode, or for those that occur where a mode is too long to be listed."""
+    spark = t.df.sparkSession
+    occurring = lambda m: None if listable(t.shape.lengths[m], rank) else t.df.select(decode(t.plan, m).alias("idx")).distinct()
+    return [init_factor(spark, n, rank, m, w.denominator, occurring(m)) for m, n in enumerate(t.shape.lengths)]
 
 
 # --- SQL building blocks. Lengths are known to SQL only as max + 1, so a position is built from
@@ -339,11 +342,13 @@ def kernel_query(n: str, mode: int, resolve: str, **options) -> Callable[[SparkS
 
 
 for _n in WORKLOADS:
-    for _m in range(1, 2 if _n == "w06" else WORKLOADS[_n].order + 1):
+    for _m in range(1, WORKLOADS[_n].order + 1):
         register(f"kr_{_n}_m{_m}_auto", kernel_query(_n, _m, "auto"), _kernel_sql(WORKLOADS[_n], _m - 1))
 for _n in ("w01", "w02", "w03", "w04", "w07"):
     for _r in ("buffered", "direct", "flagged"):
         register(f"kr_{_n}_m1_{_r}", kernel_query(_n, 1, _r), _kernel_sql(WORKLOADS[_n], 0))
+for _n in ("w01", "w04", "w05"):
+    register(f"kr_{_n}_m1_order_generic", kernel_query(_n, 1, "direct", form="generic"), _kernel_sql(WORKLOADS[_n], 0))
 register("kr_w01_m1_sequential", kernel_query("w01", 1, "sequential"), _kernel_sql(WORKLOADS["w01"], 0))
 for _i in ("array", "long", "arrow"):
     register(f"kr_w01_m1_rank_{_i}", kernel_query("w01", 1, "auto", rank_impl=_i), _kernel_sql(WORKLOADS["w01"], 0))

@@ -7,7 +7,8 @@ from linetensor.queries import ORACLES, QUERIES
 
 NAMES = [
     "w01_coo", "w07_encode", "w05_roundtrip", "w05_encode_morton", "segments_w07", "boxes_w01", "overlaps_w05", "conflicts_w02_m1", "flags_w01_m1_interval", "flags_w01_m1_touch", "imbalance_w01", "block_stats_w02",
-    "kr_w01_m1_auto", "kr_w07_m4_auto", "kr_w01_m1_flagged", "kr_w05_csf_m2", "kr_w05_blk10_m2", "kr_w01_csf_other_m1", "kr_w01_coo_private_m1", "marginals_cube", "asof_events", "scalar_bits", "toy_plan", "toy_encode", "sel_box_w01",
+    "kr_w06_m2_auto", "kr_w06_m3_auto", "kr_w05_m1_order_generic", "kr_w01_m1_order_generic", *[n for n in QUERIES if n.startswith("kr_w07_")],
+    "kr_w01_m1_auto", "kr_w01_m1_flagged", "kr_w05_csf_m2", "kr_w05_blk10_m2", "kr_w01_csf_other_m1", "kr_w01_coo_private_m1", "marginals_cube", "asof_events", "scalar_bits", "toy_plan", "toy_encode", "sel_box_w01",
 ]
 
 

@@ -185,3 +185,22 @@ def test_measures():
     assert measures.kernel_work(10, 3, 16, 1, 4) == (480, 10 * (16 + 256) + 512)
     assert math.isclose(measures.comparison_model(1024, 1), 10240)
     assert measures.mode_variation([1.0, 3.0]) == 3
+
+
+def test_long_modes_get_factor_rows_only_where_they_occur(spark):
+    from linetensor.operators.factors import init_factor
+    from linetensor.plans.choose import choose_delivery
+
+    every = {r.idx: tuple(r) for r in init_factor(spark, 50, 3, 2).collect()}
+    some = init_factor(spark, 1 << 60, 3, 2, indices=spark.createDataFrame([(7,), (49,)], "idx long")).collect()
+    assert [tuple(r) for r in some] == [every[7], every[49]]
+    assert choose_delivery(1 << 40, 16, 1000) == "prefetch" and choose_delivery(1 << 40, 16) == "shuffle" and choose_delivery(1000, 16, 10) == "broadcast"
+
+
+def test_boundary_by_cells_is_that_of_the_intervals(spark):
+    from linetensor.operators.packed import with_boundary
+
+    runs = [(0, 3), (5, 5), (9, 4000), (4010, 4010)]
+    rows = spark.createDataFrame([(i,) for i in range(5000)], "idx long")
+    got = with_boundary(rows, spark.createDataFrame(runs, "lo long, hi long"), 5000, 8).collect()
+    assert {r.idx: r.boundary for r in got} == {i: any(a <= i <= b for a, b in runs) for i in range(5000)} and len(got) == 5000
