@@ -138,8 +138,9 @@ class Index:
     def _windows(self, words: list[str], size: int, first: int, last: int, best: dict) -> None:
         """Fingerprint all windows of the size that start from first to last, and verify what is near."""
         size = min(size, len(words))
-        found = shingles(words[first : last + size])
-        inside = max(1, size - SHINGLE + 1)
+        width = min(SHINGLE, size)  # as the items of this size are cut
+        found = [" ".join(words[i : i + width]) for i in range(first, last + size - width + 1)]
+        inside = size - width + 1
         sums = np.concatenate([np.zeros((1, 64), np.int32), votes(found).cumsum(axis=0)])
         prints = fingerprints(sums[inside:] - sums[:-inside])
         for k, mark in enumerate(prints.tolist()):
@@ -225,5 +226,6 @@ def _one_pass(rows: DataFrame, block: list[tuple[int, str]], schema: str) -> Dat
 
 def without_contaminated(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
     """The documents that hold no item, with all their columns; rows without an id stay."""
-    found = find_contamination(docs, benchmark, key, text).select(F.col(key).alias("__held")).distinct()
-    return docs.join(found, docs[key] == found["__held"], "left_anti")
+    found = find_contamination(docs, benchmark, key, text).select(F.col(key).alias("held")).distinct()
+    rows = docs.select(F.col(f"`{key}`").alias("id"), F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
+    return rows.join(found, rows["id"] == found["held"], "left_anti").select("row.*")

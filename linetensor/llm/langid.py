@@ -20,6 +20,8 @@ from __future__ import annotations
 
 import itertools
 import re
+import sys
+import unicodedata
 from collections import Counter, defaultdict
 from collections.abc import Iterator
 
@@ -31,6 +33,8 @@ from pyspark.sql import functions as F
 from .common import arrow_map, small_batches, written
 
 WORD = re.compile(r"[^\W\d_]+")
+#: Numerals such as superscripts, fractions and Roman ones, which the pattern would take for letters.
+NUMERALS = re.compile("[" + "".join(c for c in map(chr, range(0x80, sys.maxunicode + 1)) if c.isalnum() and unicodedata.category(c) in ("No", "Nl")) + "]+")
 #: Longest piece used, letters after which a word is cut, words counted or remembered in a task at once.
 LONGEST, STRETCH, HELD = 8, 30, 200_000
 #: Rounds of expectation maximisation, and what is added to every piece count.
@@ -41,7 +45,10 @@ UNDECIDED = "und"
 
 
 def words_of(text: str) -> list[str]:
-    return WORD.findall(text.lower())
+    low = text.lower()
+    if not low.isascii() and NUMERALS.search(low):
+        low = NUMERALS.sub(" ", low)
+    return WORD.findall(low)
 
 
 class Pieces:

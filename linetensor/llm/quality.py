@@ -11,7 +11,8 @@ scores cover every row and whole texts.
 Cases: a null text reads as the empty one. Where labels are missing or all alike, the score is
 their smoothed share (0.5 without any). An id that is labelled twice counts once, by its lowest
 label. Rows that repeat are scored alike; extra columns are left alone; an empty table gives an
-empty table. A score of 0.5 or more predicts 1.
+empty table; columns whose names clash are carried in a struct. Very long texts are scored whole, and
+ties need no order. A score of 0.5 or more predicts 1.
 """
 
 from __future__ import annotations
@@ -195,10 +196,17 @@ def learn(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "
     return fit_rules(x, np.array([r["label"] for r in sample], int))
 
 
+def score_rows(df: DataFrame, model: RuleEnsemble, text: str = "text") -> DataFrame:
+    """One row per input row: ``row`` (its columns, whatever their names), ``score`` and ``predicted``."""
+    rows = df.select(F.struct(*[F.col(f"`{c}`") for c in df.columns]).alias("row"), F.col(f"`{text}`").alias("text"))
+    scored = statistics(rows).select("row", model.column().alias("score"))
+    return scored.withColumn("predicted", F.when(F.col("score") >= 0.5, 1).otherwise(0))
+
+
 def score_documents(df: DataFrame, model: RuleEnsemble, text: str = "text") -> DataFrame:
     """df with ``quality_score`` and ``quality_predicted``; columns of those names are replaced."""
-    scored = statistics(df.drop("stats", "quality_score", "quality_predicted"), text).withColumn("quality_score", model.column())
-    return scored.withColumn("quality_predicted", F.when(F.col("quality_score") >= 0.5, 1).otherwise(0)).drop("stats")
+    kept = [c for c in df.columns if c not in ("quality_score", "quality_predicted")]
+    return score_rows(df, model, text).select(*[F.col(f"row.`{c}`").alias(c) for c in kept], F.col("score").alias("quality_score"), F.col("predicted").alias("quality_predicted"))
 
 
 def classify(docs: DataFrame, labels: DataFrame) -> DataFrame:

@@ -4,13 +4,15 @@ Layer 0 is the text itself. Each layer is scanned for the kinds below, then unwr
 escapes, Unicode escapes, base64 (also over lines) and hexadecimal runs at every alignment, and
 compressed data inside any of those; bytes that are not UTF-8 read as Latin-1. What comes
 out is a new layer, unless the same characters were seen before from the same place (so a cycle
-ends), and goes on the worklist until nothing new turns up. Every character of a layer knows which stretch of
+ends), and goes on the worklist until nothing new turns up. Raw deflate data, which nothing marks, is tried where a
+base64 or hexadecimal run begins. Every character of a layer knows which stretch of
 the original text it came from, so that a find in any layer is reported as a span of the text.
 
 Cases: a null text reads as the empty one and has no spans. Repeated rows give repeated results;
 extra columns are left alone; an empty table gives an empty table. Decompressed data beyond
-``LARGEST`` bytes in one text is not unwrapped further, as a guard against bombs; the scan of the
-text itself has no limit.
+``largest`` bytes in one text (a parameter, 256 MiB unless it is given) is not unwrapped further, as a
+guard against bombs; the scan of the text itself has no limit. Very long texts are scanned whole, and
+finds that tie in place are all reported, in the order of kinds.
 """
 
 from __future__ import annotations
@@ -53,8 +55,8 @@ SHORT = dict(zip("abfnrtv0", b"\a\b\f\n\r\t\v\0", strict=True))
 MAGIC = re.compile(rb"\x1f\x8b\x08|\x78[\x01\x5e\x9c\xda]")
 #: The shortest find, or wrapping of one, has so many plain characters.
 PLAIN = re.compile(r"[\x20-\x7e\t\r\n]{12,}")
-#: Bytes of decompressed data in one text.
-LARGEST = 16 << 20
+#: Bytes of decompressed data in one text, unless the caller gives another bound.
+LARGEST = 256 << 20
 
 SPAN = "array<struct<kind:string,start:long,end:long,layer:string>>"
 
@@ -167,11 +169,28 @@ def _unpacked(raw: bytes, room: list[int]) -> tuple[str, str, int] | None:
     return ("".join(c for c, _ in _lossy(raw)), packed, taken) if packed and raw else None
 
 
+def _raw_deflate(raw: bytes, room: list[int]) -> bytes | None:
+    """What raw deflate data holds, if it is that: it must end in itself and give readable text."""
+    if room[0] <= 0 or raw[:1] and raw[0] & 6 == 6:
+        return None
+    try:
+        engine = zlib.decompressobj(-15)
+        out = engine.decompress(raw, room[0])
+    except zlib.error:
+        return None
+    if not engine.eof or not PLAIN.search(out.decode("latin-1")):
+        return None
+    room[0] -= len(out)
+    return out
+
+
 def _layers(layer: Layer, raw: bytes, how: str, place, room: list[int]) -> Iterator[Layer]:
     """What lies in decoded bytes: compressed data from any place on, and readable stretches; place(i, j) is where bytes lie."""
     for found in MAGIC.finditer(raw):
         if out := _unpacked(raw[found.start() :], room):
             yield Layer(out[0], None, None, f"{layer.how}>{how}{out[1]}", layer.place(*place(found.start(), found.start() + out[2])))
+    if (out := _raw_deflate(raw, room)) is not None:
+        yield Layer("".join(c for c, _ in _lossy(out)), None, None, f"{layer.how}>{how}>deflate", layer.place(*place(0, len(raw))))
     chars, starts, ends, byte = [], array("q"), array("q"), 0
     if not PLAIN.search(raw.decode("latin-1")):
         return
@@ -198,7 +217,8 @@ def _runs(layer: Layer, room: list[int]) -> Iterator[Layer]:
             for k in range(4):
                 own = body[k : len(body) - ((len(body) - k) % 4 == 1)]
                 raw = binascii.a2b_base64(own + "=" * (-len(own) % 4))
-                yield from _layers(layer, raw, "base64", lambda i, j, k=k, kept=kept: (kept[k + i // 3 * 4], kept[min(len(kept), k + ((j - 1) // 3 + 1) * 4) - 1] + 1), room)
+                ends = [*[at + 1 for at in kept[:-1]], found.end()]  # padding belongs to the last letter
+                yield from _layers(layer, raw, "base64", lambda i, j, k=k, kept=kept, ends=ends: (kept[k + i // 3 * 4], ends[min(len(kept), k + ((j - 1) // 3 + 1) * 4) - 1]), room)
 
 
 def _packed_escapes(layer: Layer, how: str, room: list[int]) -> Iterator[Layer]:
@@ -225,10 +245,10 @@ def unwrap(layer: Layer, room: list[int]) -> Iterator[Layer]:
     yield from _runs(layer, room)
 
 
-def find_secrets(text: str | None) -> list[tuple[str, int, int, str]]:
+def find_secrets(text: str | None, largest: int = LARGEST) -> list[tuple[str, int, int, str]]:
     """(kind, start, end, layer) of every distinct find, by start, kind and end; layer ``text`` is the text itself."""
     spans: dict[tuple[int, int, int], str] = {}
-    room = [LARGEST]
+    room = [largest]
     work = deque([Layer(text or "", None, None, "text")])
     first = hashlib.sha256((text or "").encode("utf-8", "replace")).digest()
     seen: set[bytes] = set()
@@ -246,7 +266,7 @@ def find_secrets(text: str | None) -> list[tuple[str, int, int, str]]:
     return [(KINDS[kind], a, b, how) for (a, kind, b), how in sorted(spans.items())]
 
 
-def scan_documents(df: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
+def scan_documents(df: DataFrame, key: str = "doc_id", text: str = "text", largest: int = LARGEST) -> DataFrame:
     """One row per input row: the key and ``spans``, an array of (kind, start, end, layer) in code points."""
     rows = df.select(F.col(key).alias("key"), F.col(text).alias("text"))
     kind = pa.list_(pa.struct([("kind", pa.string()), ("start", pa.int64()), ("end", pa.int64()), ("layer", pa.string())]))
@@ -254,7 +274,7 @@ def scan_documents(df: DataFrame, key: str = "doc_id", text: str = "text") -> Da
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         names = ("kind", "start", "end", "layer")
         for batch in batches:
-            spans = [[dict(zip(names, s, strict=True)) for s in find_secrets(t)] for t in batch.column(1).to_pylist()]
+            spans = [[dict(zip(names, s, strict=True)) for s in find_secrets(t, largest)] for t in batch.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(spans, kind)], names=["key", "spans"])
 
     return arrow_map(rows, run, f"key {rows.schema['key'].dataType.simpleString()}, spans {SPAN}").withColumnRenamed("key", key)

@@ -223,6 +223,8 @@ def _pixels(data: bytes, order: str, tags: dict[int, tuple]) -> bytes:
     per_row, per_column = -(-width // across), -(-height // down)
     if len(offsets) != per_row * per_column * planes:
         raise ValueError("blocks are missing")
+    if min(width, height, samples) < 1 or width * height * samples * kind.itemsize > (sum(sizes) + 1) * MOST_RATIO:
+        raise ValueError("the blocks cannot hold an image of this size")
     image = np.zeros((height, width, samples), kind)
     for k, (offset, size) in enumerate(zip(offsets, sizes, strict=True)):
         plane, k = divmod(k, per_row * per_column)
@@ -235,6 +237,11 @@ def _pixels(data: bytes, order: str, tags: dict[int, tuple]) -> bytes:
     return image.tobytes()
 
 
+#: What a malformed file may raise; the greatest ratio of any scheme, and the greatest number of a page.
+MALFORMED = (ValueError, TypeError, LookupError, ArithmeticError, MemoryError, zlib.error, struct.error)
+MOST_RATIO, MOST = 4096, (1 << 31) - 1
+
+
 def read_pages(data: bytes | None) -> Iterator[Page]:
     if not data:
         yield Page(-1, 0, 0, 0, 0, 0, 0, None, "empty")
@@ -243,14 +250,16 @@ def read_pages(data: bytes | None) -> Iterator[Page]:
     try:
         for order, tags in _directories(data):
             one = lambda tag, default, tags=tags: int(tags.get(tag, (default,))[0])
+            if max(one(tag, 0) for tag in (WIDTH, LENGTH, SAMPLES, BITS, COMPRESSION, PREDICTOR)) > MOST:
+                raise ValueError("a number of the directory is out of range")
             page = Page(number, one(WIDTH, 0), one(LENGTH, 0), one(SAMPLES, 1), one(BITS, 1), one(COMPRESSION, NONE), one(PREDICTOR, 1), None)
             try:
                 page.data = _pixels(data, order, tags)
-            except (ValueError, KeyError, zlib.error, struct.error, MemoryError) as wrong:
+            except MALFORMED as wrong:
                 page.error = f"{type(wrong).__name__}: {wrong}"
             yield page
             number += 1
-    except (ValueError, struct.error) as wrong:
+    except MALFORMED as wrong:
         yield Page(number if number else -1, 0, 0, 0, 0, 0, 0, None, f"{type(wrong).__name__}: {wrong}")
 
 

@@ -83,3 +83,11 @@ def test_fingerprints_of_windows():
     sums = np.concatenate([np.zeros((1, 64), np.int32), d.votes(found).cumsum(axis=0)])
     for i, n in itertools.product(range(3), (4, 9)):
         assert d.fingerprints((sums[i + n] - sums[i])[None])[0] == d.fingerprints(d.votes(found[i : i + n]).sum(axis=0)[None])[0]
+
+
+def test_short_items_in_a_row_are_found(spark):
+    docs = spark.createDataFrame([(1, "no no no no", 0), (2, "x a b c d y", 0), (3, "a b x c", 0)], "doc_id long, text string, held int")
+    items = spark.createDataFrame([(1, "no no no"), (2, "a b c"), (3, "b c d"), (4, "x")], "item_id long, text string")
+    found = {(r.doc_id, r.item_id) for r in d.find_contamination(docs, items).collect()}
+    assert found == {(1, 1), (2, 2), (2, 3), (2, 4), (3, 4)}
+    assert d.without_contaminated(docs, items).count() == 0

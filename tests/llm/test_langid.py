@@ -67,3 +67,8 @@ def test_cases(spark):
     assert sorted(got, key=repr) == sorted([(0, "en"), (1, "fr"), (3, "und"), (4, "und"), (5, "und"), (None, "en"), (6, "en"), (6, "en")], key=repr)
     assert langid.identify(df.limit(0), PATH).count() == 0
     assert {r.lang_pred for r in langid.identify(df.where("lang is null"), PATH).collect()} == {"und"}
+
+
+def test_only_letters_are_words():
+    assert langid.words_of("\u00b2 \u00bd \u2167 123 _ ?!") == []
+    assert langid.words_of("m\u00b2 Stra\u00dfe\u2167x \u00c5") == ["m", "stra\u00dfe", "x", "\u00e5"]

@@ -36,3 +36,11 @@ def test_column_equals_numpy_and_cases(spark):
     assert len(done) == len(rows) and all(0 <= r.score <= 1 for r in done)
     assert {r.score for r in quality.classify(df, labels.limit(0)).collect()} == {0.5}
     assert quality.classify(df.limit(0), labels).count() == 0
+
+
+def test_columns_of_any_name_are_left_alone(spark):
+    rows = [(1, "some text here", 7, 8, 9, "a"), (2, None, 1, 2, 3, "b"), (2, "word " * 60_000, 1, 2, 3, "c")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, stats int, quality_score int, __text int, label string")
+    done = quality.score_rows(df, quality.RuleEnsemble(0.5)).orderBy("row.label")
+    assert [tuple(r.row) for r in done.collect()] == rows
+    assert quality.score_documents(df, quality.RuleEnsemble(0.5)).columns == ["doc_id", "text", "stats", "__text", "label", "quality_score", "quality_predicted"]

@@ -83,3 +83,15 @@ def test_escaped_glued_and_wrapped_nestings():
     ]:
         spans = [(a, b) for kind, a, b, how in secrets.find_secrets(f"before\n{inside} after") if kind == "access"]
         assert spans and all(7 <= a < b <= 7 + len(inside) for a, b in spans), inside
+
+
+def test_large_and_raw_deflate_layers_are_unwrapped():
+    secret = "token=abcdef123456"
+    large = base64.b64encode(zlib.compress(b"x " * (9 << 20) + secret.encode())).decode()
+    assert [s[0] for s in secrets.find_secrets(large)] == ["assign"]
+    assert secrets.find_secrets(large, largest=1 << 20) == []
+    engine = zlib.compressobj(9, zlib.DEFLATED, -15)
+    raw = engine.compress(b"a config file says: " + secret.encode() + b" and goes on with more words") + engine.flush()
+    assert [s[0] for s in secrets.find_secrets("see " + base64.b64encode(raw).decode())] == ["assign"]
+    mixed = base64.b64encode(b"\x01" * 5000 + secret.encode()).decode()
+    assert [s[0] for s in secrets.find_secrets(mixed)] == ["assign"]

@@ -62,3 +62,25 @@ def test_text_digest(spark):
     assert rows[5].feature.startswith("pages=2;")
     assert rows[2][2:] == rows[6][2:]
     assert tiff.text_media_digest(df.limit(0)).count() == 0
+
+
+def test_malformed_files_give_error_pages():
+    good = tiff.write_pages([np.arange(24, dtype=np.uint8).reshape(4, 6, 1)])
+    (first,) = struct.unpack_from("<I", good, 4)
+    (entries,) = struct.unpack_from("<H", good, first)
+    for k in range(entries):
+        at = first + 2 + 12 * k
+        for form, count, value in ((4, 1, 0), (4, 0, 0), (11, 1, 1), (4, 1, 0xFFFFFFFF), (3, 1, 7), (12, 9, 1 << 31), (2, 1, 65)):
+            broken = bytearray(good)
+            struct.pack_into("<HII", broken, at + 2, form, count, value)
+            pages = list(tiff.read_pages(bytes(broken)))
+            assert pages and all(abs(p.width) <= tiff.MOST for p in pages)
+    for cut in range(0, len(good), 3):
+        list(tiff.read_pages(good[:cut]))
+    huge = bytearray(good)
+    for k in range(entries):
+        at = first + 2 + 12 * k
+        if struct.unpack_from("<H", huge, at)[0] in (tiff.WIDTH, tiff.LENGTH):
+            struct.pack_into("<I", huge, at + 8, 1 << 30)
+    (page,) = tiff.read_pages(bytes(huge))
+    assert page.data is None and page.error
