@@ -3,7 +3,10 @@
 Each stage is a function of (spark, docs, sf_dir) that works on all rows its predecessor kept and
 returns a DataFrame; all but the last return the columns of their input. ``run`` writes each
 stage's result to the shared folder and reads it again, so a lost executor repeats one stage at
-most. Null and empty texts pass every stage but the first, which scores them like any other text.
+most. Null and empty texts pass every stage but the first, which scores them like any other text;
+very long texts pass whole. Repeated rows are treated alike in every stage; near-duplicates that tie
+leave the least id. Rows travel in structs, so extra columns may have any name; empty tables give
+empty tables.
 """
 
 from __future__ import annotations
@@ -20,8 +23,7 @@ from linetensor.llm.registry import tokenizer_path
 def quality_filter(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the rule ensemble accepts; it is learned from the labels that are not held out."""
     labels = table(spark, sf_dir, "labels", "doc_id", "quality").where(~held_out("doc_id", 3, 1))
-    scored = quality.score_documents(docs, quality.learn(docs, labels))
-    return scored.where("quality_predicted = 1").select(*docs.columns)
+    return quality.score_rows(docs, quality.learn(docs, labels)).where("predicted = 1").select("row.*")
 
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
