@@ -11,6 +11,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .functions.bitplan import BitPlan, decode, ideal_bits, mode_bits
+from .operators.baselines import tree_levels
 from .operators.packed import PackedTensor, coord_names
 from .plans.choose import fiber_reuse
 
@@ -76,6 +77,40 @@ def tree_bytes(nodes: Sequence[int], nnz: int) -> int:
     return sum(8 * n for n in nodes) + sum(8 * (n + 1) for n in nodes[:-1]) + 8 * nnz
 
 
+def distinct_counts(df: DataFrame, sets: Sequence[tuple[str, ...]]) -> dict[tuple[str, ...], int]:
+    """How many distinct combinations each set of columns has: one pass with grouping sets for all of them."""
+    sets = sorted({tuple(sorted(s)) for s in sets})
+    columns = sorted({c for s in sets for c in s})
+    grouped = df.groupingSets([[F.col(c) for c in s] for s in sets], *columns).agg(F.grouping_id().alias("without"))
+    found = {r["without"]: r["n"] for r in grouped.groupBy("without").agg(F.count(F.lit(1)).alias("n")).collect()}  # a row for each set
+    left_out = lambda s: sum(1 << (len(columns) - 1 - i) for i, c in enumerate(columns) if c not in s)
+    return {s: found.get(left_out(s), 0) for s in sets}
+
+
+def storage_bytes(df: DataFrame, lengths: Sequence[int], tile: int = 64) -> dict[str, int]:
+    """Bytes of every format with values, from one pass over a coordinate list with distinct rows."""
+    n, modes = len(lengths), range(len(lengths))
+    columns = {f"t{m + 1}": F.floor(F.col(f"c{m + 1}") / tile) for m in modes}
+    for name, bits in (("b", 7), ("s", 10), ("u", 14)):
+        columns |= {f"{name}{m + 1}": F.shiftright(f"c{m + 1}", bits) for m in modes}
+    paths = {root: tuple(f"c{m + 1}" for m in tree_levels(lengths, root)) for root in modes}
+    tiled = {root: (f"t{tree_levels(lengths, root)[-1] + 1}", *path) for root, path in paths.items()}
+    blocks = {name: tuple(f"{name}{m + 1}" for m in modes) for name in "bsu"}
+    prefixes = [p[: k + 1] for p in (*paths.values(), *tiled.values()) for k in range(len(p))]
+    counts = distinct_counts(df.withColumns(columns), [*prefixes, *blocks.values()])
+    count = lambda s: counts[tuple(sorted(s))]
+    nnz = count(paths[0])
+    trees = lambda of: sum(tree_bytes([count(p[: k + 1]) for k in range(len(p))], nnz) for p in of.values())
+    return {
+        "coo": coo_bytes(n, nnz),
+        "packed": packed_bytes(lengths, nnz),
+        "blk10": block_bytes(n, nnz, count(blocks["b"]), count(blocks["s"])),
+        "blk14": block_bytes(n, nnz, count(blocks["b"]), count(blocks["u"])),
+        "csf": trees(paths),
+        "csf_tile": trees(tiled),
+    }
+
+
 def geomean(column: str | Column) -> Column:
     """Geometric mean of the positive values of a column; others, such as runs that failed, are left out."""
     c = F.col(column) if isinstance(column, str) else column
@@ -148,6 +183,24 @@ def roofline(peak: float, bandwidth: float, flops: float, moved: float) -> float
     return min(peak, bandwidth * flops / moved)
 
 
+def peak_flops(n: int = 1024) -> float:
+    """Operations a second of a dense product of doubles on this machine, on the cores that NumPy takes."""
+    a = np.ones((n, n))
+    a @ a
+    start = time.perf_counter()
+    a @ a
+    return 2 * n**3 / (time.perf_counter() - start)
+
+
+def attempt(run: Callable[[], float]) -> tuple[float | None, str]:
+    """Seconds of a run and ``ok``, or no seconds and why: ``oom`` where memory ran out, else ``error``. One failing format does not end a comparison."""
+    try:
+        return run(), "ok"
+    except Exception as wrong:  # noqa: BLE001
+        said = str(wrong).lower()
+        return None, "oom" if isinstance(wrong, MemoryError) or "outofmemory" in said or "heap space" in said else "error"
+
+
 def stream_bandwidth(megabytes: int = 64) -> float:
     """Bytes a second of a NumPy triad on this machine, on one core."""
     n = megabytes << 17

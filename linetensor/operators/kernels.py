@@ -176,6 +176,8 @@ def kr(t: PackedTensor, factors: Sequence[DataFrame], mode: int, resolve: str =
         return _in_chunks(t, factors, mode, resolve, delivery, rank, form)
     if resolve == "auto":
         resolve = choose_resolution(t.count(), t.shape.lengths[mode])
+        if resolve == "buffered":  # tasks hold ranges of the line already: each stages its own rows, and no element moves
+            t = t.with_df(t.df, segments=None)
     if resolve == "sequential":
         return kr_sequential(t, factors, mode)
     return {"buffered": kr_buffered, "direct": kr_direct, "flagged": kr_flagged}[resolve](t, factors, mode, delivery, form)

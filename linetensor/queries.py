@@ -20,6 +20,7 @@ from .operators.packed import (
     flag_boundary,
     flag_from_spare_bit,
     flag_in_spare_bit,
+    infer_shape,
     merge,
     pack,
     prefix_partition,
@@ -29,11 +30,14 @@ from .operators.packed import (
 )
 from .plans.choose import choose_resolution, classify_reuse, fiber_reuse, listable, tensor_class
 from .plans.cpals import cp_als, packed_kernel
+from .sources.tensors import checkpointed
 from .sources.workloads import WORKLOADS, Workload
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
 SEGMENTS = 8
+#: Indices of a tile of the tiled trees.
+TILE = 64
 MORTON_MOST = 126
 
 
@@ -47,8 +51,6 @@ def packed(spark: SparkSession, d: str, w: Workload, kind: str = "adaptive") ->
     df = w.build(spark, d)
     if kind == "adaptive":
         return pack(df, names=w.modes)
-    from .operators.packed import infer_shape
-
     shape = infer_shape(df, w.modes)
     return pack(df, shape, getattr(BitPlan, kind)(shape.lengths))
 
@@ -270,20 +272,9 @@ for _w in WORKLOADS.values():
 
 def _storage(spark: SparkSession, d: str, w: Workload) -> DataFrame:
     """Bytes of every format, with values, and relative to the coordinate list."""
-    coo = w.build(spark, d)
-    t = pack(coo, names=w.modes)
-    n, lengths = t.count(), t.shape.lengths
-    rows = [("coo", measures.coo_bytes(w.order, n)), ("packed", measures.packed_bytes(lengths, n))]
-    for bits in (10, 14):
-        blocks, supers = baselines.blk_counts(baselines.blk_build(coo, lengths, super_bits=bits))
-        rows.append((f"blk{bits}", measures.block_bytes(w.order, n, blocks, supers)))
-    trees = 0
-    for tree in baselines.csf_build_all(coo, lengths):
-        nodes = [r["nodes"] for r in baselines.csf_nodes(tree).orderBy("level").collect()]
-        trees += measures.tree_bytes(nodes, n)
-    rows.append(("csf", trees))
-    base = float(rows[0][1])
-    return spark.createDataFrame([(w.name, f, b, base / b) for f, b in rows], "workload string, format string, bytes long, ratio double")
+    coo = checkpointed(w.build(spark, d))
+    found = measures.storage_bytes(coo, infer_shape(coo, w.modes).lengths, TILE)
+    return spark.createDataFrame([(w.name, f, b, found["coo"] / b) for f, b in found.items()], "workload string, format string, bytes long, ratio double")
 
 
 def _storage_sql(w: Workload, shape: tuple[int, ...]) -> str:
@@ -297,21 +288,60 @@ def _storage_sql(w: Workload, shape: tuple[int, ...]) -> str:
     for bits in (10, 14):
         b, s = ", ".join(f"{k} >> 7" for k in keys), ", ".join(f"{k} >> {bits}" for k in keys)
         parts.append(f"SELECT 'blk{bits}', nnz * {n + 8} + (SELECT count(*) FROM (SELECT DISTINCT {b} FROM coo)) * {4 * n + 8} + (SELECT count(*) FROM (SELECT DISTINCT {s} FROM coo)) * 8 FROM n")
-    trees = []
-    for root in range(n):
-        path = [f"c{m + 1}" for m in baselines.tree_levels(shape, root)]
-        counts = [f"(SELECT count(*) FROM (SELECT DISTINCT {', '.join(path[: k + 1])} FROM coo))" for k in range(n)]
-        trees.append(" + ".join([f"8 * {c}" for c in counts] + [f"8 * ({c} + 1)" for c in counts[:-1]] + ["8 * nnz"]))
-    parts.append(f"SELECT 'csf', {' + '.join(trees)} FROM n")
+    for name in ("csf", "csf_tile"):
+        trees = []
+        for root in range(n):
+            path = [f"c{m + 1}" for m in baselines.tree_levels(shape, root)]
+            path = [f"{path[-1]} // {TILE}", *path] if name == "csf_tile" else path
+            counts = [f"(SELECT count(*) FROM (SELECT DISTINCT {', '.join(path[: k + 1])} FROM coo))" for k in range(len(path))]
+            trees.append(" + ".join([f"8 * {c}" for c in counts] + [f"8 * ({c} + 1)" for c in counts[:-1]] + ["8 * nnz"]))
+        parts.append(f"SELECT '{name}', {' + '.join(trees)} FROM n")
     union = " UNION ALL ".join(parts)
     return f"WITH {_coo_cte(w)}, {_lengths_cte(w)}, n AS (SELECT count(*) AS nnz FROM coo), s AS ({union}) SELECT '{w.name}' AS workload, format, bytes::BIGINT AS bytes, (SELECT bytes FROM s WHERE format = 'coo') / bytes::DOUBLE AS ratio FROM s"
 
 
 #: Mode lengths at the scale where SQL is compared; only their order matters, for the levels of trees.
-ORDER_OF_LENGTHS = {"w01": (2000, 100, 83), "w02": (15000, 2000, 7), "w04": (1500, 79, 5), "w05": (150, 5, 30, 24), "w09": (25, 25, 6, 7), "w12": (100, 8, 3)}
+ORDER_OF_LENGTHS = {
+    "w01": (2000, 100, 83),
+    "w02": (15000, 2000, 7),
+    "w03": (2000, 100, 83),
+    "w04": (1500, 79, 5),
+    "w05": (150, 5, 30, 24),
+    "w06": (1000, 93796, 20),
+    "w07": (10000, 150, 5, 2591832194063, 100),
+    "w08": (1500, 2000, 100, 2500, 3),
+    "w09": (25, 25, 6, 7),
+    "w10": (150, 5, 30, 24, 100),
+    "w11": (500, 64),
+    "w12": (100, 8, 3),
+}
 for _n, _shape in ORDER_OF_LENGTHS.items():
     register(f"storage_{_n}", lambda s, d, w=WORKLOADS[_n]: _storage(s, d, w), _storage_sql(WORKLOADS[_n], _shape))
 
+#: Families of formats that are compared: one copy for any mode, or a copy for each.
+FAMILIES = {"general": ("coo", "blk10", "blk14"), "specific": ("csf", "csf_tile")}
+
+
+def _compression(spark: SparkSession, d: str) -> DataFrame:
+    """For each tensor and family the bytes of its best format over ours, and the geometric means."""
+    rows = []
+    for w in WORKLOADS.values():
+        found = {r["format"]: r["bytes"] for r in _storage(spark, d, w).collect()}
+        rows += [(w.name, family, min(found[f] for f in formats) / found["packed"]) for family, formats in FAMILIES.items()]
+    df = spark.createDataFrame(rows, "workload string, family string, compression double")
+    means = df.groupBy("family").agg(measures.geomean("compression").alias("compression")).select(F.lit("geomean").alias("workload"), "family", "compression")
+    return df.unionByName(means).withColumn("compression", F.round("compression", 9))
+
+
+def _compression_sql() -> str:
+    every = " UNION ALL ".join(f"SELECT workload, format, bytes FROM ({_storage_sql(WORKLOADS[n], shape)})" for n, shape in ORDER_OF_LENGTHS.items())
+    of = " ".join(f"WHEN s.format IN {formats} THEN '{family}'" for family, formats in FAMILIES.items())
+    best = f"SELECT s.workload, CASE {of} END AS family, min(s.bytes) / any_value(p.bytes)::DOUBLE AS compression FROM s JOIN (SELECT * FROM s WHERE format = 'packed') p USING (workload) WHERE s.format <> 'packed' GROUP BY 1, 2"
+    return f"WITH s AS ({every}), best AS ({best}) SELECT workload, family, round(compression, 9) AS compression FROM best UNION ALL SELECT 'geomean', family, round(exp(avg(ln(compression))), 9) FROM best GROUP BY family"
+
+
+register("compression_summary", _compression, _compression_sql())
+
 
 def _ratios(spark: SparkSession, d: str) -> DataFrame:
     """Formula measures of all workloads, and their geometric means."""
@@ -334,7 +364,7 @@ def kernel_query(n: str, mode: int, resolve: str, **options) -> Callable[[SparkS
 
     def run(spark: SparkSession, d: str) -> DataFrame:
         t = packed(spark, d, w)
-        if resolve in ("buffered", "flagged") or resolve == "auto" and choose_resolution(t.count(), t.shape.lengths[mode - 1]) == "buffered":
+        if resolve in ("buffered", "flagged"):
             t = segment(t, SEGMENTS)
         return kr(t, factors_for(t, w), mode - 1, resolve, **options)
 
@@ -368,7 +398,7 @@ register("kr_w04_m1_dense", _dense, f"WITH k AS ({_kernel_sql(WORKLOADS['w04'],
 
 def _all_modes(spark: SparkSession, d: str, n: str) -> DataFrame:
     w = WORKLOADS[n]
-    t = segment(packed(spark, d, w), SEGMENTS)
+    t = packed(spark, d, w)
     outs = kr_all_modes(t, factors_for(t, w))
     return reduce(DataFrame.unionByName, [o.select(F.lit(m + 1).cast("long").alias("mode"), "*") for m, o in enumerate(outs)])
 
