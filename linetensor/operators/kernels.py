@@ -107,12 +107,10 @@ def kr_direct(t: PackedTensor, factors: Sequence[DataFrame], mode: int, delivery
 
 
 def kr_flagged(t: PackedTensor, factors: Sequence[DataFrame], mode: int, delivery: str = "auto", form: str = "auto") -> DataFrame:
-    """Rows inside one segment's interval alone are finished there; the others are merged. Partial rows are made once and stored."""
+    """Rows inside one segment's interval alone are finished there; the others are merged."""
     rank = rank_of(factors[mode])
-    from ..sources.tensors import checkpointed
-
     partial = _products(_decoded(dealt(t), mode, "seg"), factors, mode, t.shape.lengths, delivery, ["seg", "idx"], t.nnz, form).groupBy("seg", "idx").agg(*_sums(rank))
-    flagged = checkpointed(with_boundary(partial, coverage(t.boxes, mode + 1), t.shape.lengths[mode], t.segments))
+    flagged = with_boundary(partial, coverage(t.boxes, mode + 1), t.shape.lengths[mode], t.segments)
     internal = flagged.where(~F.col("boundary")).select("idx", *[f"y{r}" for r in range(rank)])
     return internal.unionByName(flagged.where("boundary").groupBy("idx").agg(*_sums(rank)))
 
