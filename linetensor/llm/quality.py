@@ -146,14 +146,15 @@ def _grow(x: np.ndarray, edges: list[np.ndarray], binned: np.ndarray, gradient:
 
 
 def _lasso(f: np.ndarray, y: np.ndarray) -> tuple[float, np.ndarray]:
-    """Logistic regression with an absolute-value penalty on all but the intercept, by accelerated proximal steps."""
+    """Logistic regression with an absolute-value penalty on all but the intercept, by accelerated proximal steps; f is not copied."""
     n, k = f.shape
-    a = np.hstack([np.ones((n, 1)), f])
-    pace = 1 / (0.25 * np.linalg.norm(a, 2) ** 2 / n + 1e-9)
+    products = np.block([[np.full((1, 1), float(n)), f.sum(axis=0)[None]], [f.sum(axis=0)[:, None], f.T @ f]])
+    pace = 1 / (0.25 * np.linalg.eigvalsh(products)[-1] / n + 1e-9)
     w = z = np.zeros(k + 1)
     t = 1.0
     for _ in range(STEPS):
-        slope = a.T @ (1 / (1 + np.exp(-a @ z)) - y) / n
+        wrong = 1 / (1 + np.exp(-z[0] - f @ z[1:])) - y
+        slope = np.concatenate([[wrong.sum()], wrong @ f]) / n
         moved = z - pace * slope
         new = np.sign(moved) * np.maximum(np.abs(moved) - pace * PENALTY, 0)
         new[0] = moved[0]
@@ -179,9 +180,11 @@ def fit_rules(x: np.ndarray, y: np.ndarray) -> RuleEnsemble:
     rules = sorted(paths)
     fires = _fires(x, rules)
     spread = fires.std(axis=0)
-    rules = [r for r, s in zip(rules, spread, strict=True) if s > 0]
-    fires, spread = fires[:, spread > 0], spread[spread > 0]
-    intercept, weights = _lasso(fires / spread, y.astype(float))
+    if not spread.all():
+        rules = [r for r, s in zip(rules, spread, strict=True) if s > 0]
+        fires, spread = fires[:, spread > 0], spread[spread > 0]
+    fires /= spread
+    intercept, weights = _lasso(fires, y.astype(float))
     return RuleEnsemble(intercept, [(r, float(w / s)) for r, w, s in zip(rules, weights, spread, strict=True) if abs(w) > 1e-6])
 
 
