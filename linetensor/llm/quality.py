@@ -206,6 +206,16 @@ def score_rows(df: DataFrame, model: RuleEnsemble, text: str = "text") -> DataFr
     return scored.withColumn("predicted", F.when(F.col("score") >= 0.5, 1).otherwise(0))
 
 
+def accepted(df: DataFrame, model: RuleEnsemble, text: str = "text") -> DataFrame:
+    """The rows that the model predicts 1 for, with all columns.
+
+    A generator drops the others: a filter would be pushed below the statistics, and the optimizer would
+    write them out anew, texts split and all, in every condition of every rule.
+    """
+    kept = F.when(F.col("score") >= 0.5, F.array(F.struct("row")))
+    return score_rows(df, model, text).select(F.inline(kept)).select("row.*")
+
+
 def score_documents(df: DataFrame, model: RuleEnsemble, text: str = "text") -> DataFrame:
     """df with ``quality_score`` and ``quality_predicted``; columns of those names are replaced."""
     kept = [c for c in df.columns if c not in ("quality_score", "quality_predicted")]

@@ -44,3 +44,17 @@ def test_columns_of_any_name_are_left_alone(spark):
     done = quality.score_rows(df, quality.RuleEnsemble(0.5)).orderBy("row.label")
     assert [tuple(r.row) for r in done.collect()] == rows
     assert quality.score_documents(df, quality.RuleEnsemble(0.5)).columns == ["doc_id", "text", "stats", "__text", "label", "quality_score", "quality_predicted"]
+
+
+def test_accepted_keeps_the_rows_predicted_1(spark):
+    """Same rows as by the prediction, repeats and clashing names included; texts are split once in the plan."""
+    rule = (((quality.NAMES.index("words"), True, 2.5), (quality.NAMES.index("distinct_share"), True, 0.5)), 4.0)
+    model = quality.RuleEnsemble(-2.0, [rule, (((quality.NAMES.index("words"), False, 9.5),), 0.5)])
+    rows = [(1, "a b c d", "x"), (1, "a b c d", "x"), (2, "a a a a a", "y"), (3, None, "z"), (4, "", None), (None, "one two three " * 50, "w"), (5, "word " * 10 + "p q r s t u v w x y z", "v")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, stats string").selectExpr("*", "stats AS score", "1 AS row", "2 AS predicted", "3 AS __text")
+    kept = quality.accepted(df, model)
+    assert kept.columns == df.columns
+    want = [tuple(r["row"]) for r in quality.score_rows(df, model).collect() if r["predicted"] == 1]
+    assert sorted(map(repr, map(tuple, kept.collect()))) == sorted(map(repr, want)) and len(want) == 3
+    assert kept._jdf.queryExecution().optimizedPlan().toString().count("split(") == 1
+    assert quality.accepted(df.limit(0), model).count() == 0
