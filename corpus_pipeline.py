@@ -23,7 +23,7 @@ from linetensor.llm.registry import tokenizer_path
 def quality_filter(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the rule ensemble accepts; it is learned from the labels that are not held out."""
     labels = table(spark, sf_dir, "labels", "doc_id", "quality").where(~held_out("doc_id", 3, 1))
-    return quality.score_rows(docs, quality.learn(docs, labels)).where("predicted = 1").select("row.*")
+    return quality.accepted(docs, quality.learn(docs, labels))
 
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
