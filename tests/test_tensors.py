@@ -204,3 +204,14 @@ def test_boundary_by_cells_is_that_of_the_intervals(spark):
     rows = spark.createDataFrame([(i,) for i in range(5000)], "idx long")
     got = with_boundary(rows, spark.createDataFrame(runs, "lo long, hi long"), 5000, 8).collect()
     assert {r.idx: r.boundary for r in got} == {i: any(a <= i <= b for a, b in runs) for i in range(5000)} and len(got) == 5000
+
+
+def test_storage_levels_follow_the_declared_order(spark):
+    df = spark.createDataFrame([(a, b, (a * b) % 3, 1.0) for a in range(4) for b in range(40)], "c1 long, c2 long, c3 long, val double")
+    lengths = (4, 40, 3)
+    measured = measures.storage_bytes(df, lengths, by=(40, 3, 4))  # levels as if mode 2 were the shortest
+    assert measured["csf"] != measures.storage_bytes(df, lengths)["csf"]
+    nodes = lambda *keys: df.select(*keys).distinct().count()
+    trees = [("c1", "c2", "c3"), ("c2", "c3", "c1"), ("c3", "c2", "c1")]
+    assert measured["csf"] == sum(measures.tree_bytes([nodes(*path[: k + 1]) for k in range(3)], 160) for path in trees)
+    assert measured["packed"] == measures.packed_bytes(lengths, 160)
