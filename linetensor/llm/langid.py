@@ -33,8 +33,11 @@ from pyspark.sql import functions as F
 from .common import arrow_map, small_batches, written
 
 WORD = re.compile(r"[^\W\d_]+")
-#: Numerals such as superscripts, fractions and Roman ones, which the pattern would take for letters.
-NUMERALS = re.compile("[" + "".join(c for c in map(chr, range(0x80, sys.maxunicode + 1)) if c.isalnum() and unicodedata.category(c) in ("No", "Nl")) + "]+")
+#: Numerals such as superscripts, fractions and Roman ones, which the pattern would take for letters. Those of the first
+#: plane make a class that is looked up by a bitmap; with any beyond, every character would be compared with them one by one.
+_NUMERALS = [c for c in map(chr, range(0x80, sys.maxunicode + 1)) if c.isalnum() and unicodedata.category(c) in ("No", "Nl")]
+NUMERALS, FAR_NUMERALS = (re.compile("[" + "".join(c for c in _NUMERALS if (c > "\uffff") == far) + "]+") for far in (False, True))
+FAR = re.compile("[\U00010000-\U0010ffff]")
 #: Longest piece used, letters after which a word is cut, words counted or remembered in a task at once.
 LONGEST, STRETCH, HELD = 8, 30, 200_000
 #: Rounds of expectation maximisation, and what is added to every piece count.
@@ -46,8 +49,11 @@ UNDECIDED = "und"
 
 def words_of(text: str) -> list[str]:
     low = text.lower()
-    if not low.isascii() and NUMERALS.search(low):
-        low = NUMERALS.sub(" ", low)
+    if not low.isascii():
+        if NUMERALS.search(low):
+            low = NUMERALS.sub(" ", low)
+        if FAR.search(low):
+            low = FAR_NUMERALS.sub(" ", low)
     return WORD.findall(low)
 
 

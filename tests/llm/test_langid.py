@@ -72,3 +72,9 @@ def test_cases(spark):
 def test_only_letters_are_words():
     assert langid.words_of("\u00b2 \u00bd \u2167 123 _ ?!") == []
     assert langid.words_of("m\u00b2 Stra\u00dfe\u2167x \u00c5") == ["m", "stra\u00dfe", "x", "\u00e5"]
+
+
+def test_numerals_of_both_planes_are_no_letters_and_cost_little():
+    """A class with characters beyond the first plane is compared one by one, so those have a pattern of their own."""
+    assert langid.words_of("x² ½ Ⅷabc \U00010107ab a\U00010108b") == ["x", "abc", "ab", "a", "b"]
+    assert max(langid.NUMERALS.pattern) <= "\uffff" < min(langid.FAR_NUMERALS.pattern[1:-2])
