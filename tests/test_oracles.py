@@ -17,7 +17,7 @@ def test_query_matches_sql(spark, name):
     assert spark_rows(QUERIES[name](spark, f"{ROOT}/sf0.001")) == sql_rows(ORACLES[name], "sf0.001")
 
 
-MADE_UP = ["gram_small", "khatri_rao_small", "toy_encode", "toy_plan"]
+MADE_UP = ["gram_small", "khatri_rao_small", "toy_encode", "toy_plan", "unpivot_factor"]
 
 
 @pytest.mark.parametrize("name", MADE_UP)
