@@ -64,6 +64,8 @@ BEFORE = 8
 A_TASK = 50_000
 #: Characters that are hashed together, shingles that are sampled together, so that arrays stay in cache; buckets of ids by which texts are sifted before a shuffle.
 CHARACTERS, AT_ONCE, SIEVE = 1 << 18, 12_000, 1 << 18
+#: How hard the texts of members of groups are compressed.
+PACKING = 3
 _LEVELS = 4096
 _NEGLOG = -np.log((np.arange(_LEVELS) + 0.5) / _LEVELS).astype(np.float32)
 _UNIFORM = ((np.arange(_LEVELS) + 0.5) / _LEVELS).astype(np.float32)
@@ -428,7 +430,7 @@ def _prefixes(rows: DataFrame, idf: Idf) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             found, keys, rests, wholes, before = [], [], [], [], []
-            for key, hashes in zip(batch.column(0).to_pylist(), words_of_all(batch.column(1).to_pylist()), strict=True):
+            for key, hashes in zip(batch.column(0).to_pylist(), words_of_all(_unpacked(batch.column(1))), strict=True):
                 shingles, times = weighted_set(hashes)
                 factors = idf.factor(shingles)
                 marks, rest, whole = prefix(shingles, times.astype(np.float32) * factors, factors)
@@ -477,12 +479,28 @@ def _cover_pairs(marked: DataFrame, sample: int | None = None, turn: int = 0) ->
     return met.select(F.least("key", "key_1").alias("a"), F.greatest("key", "key_1").alias("b")).distinct()
 
 
+def _packed(rows: DataFrame) -> DataFrame:
+    """(key, text) with the text compressed: members' texts are shuffled several times, and once more for each candidate pair."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        pack = zstandard.ZstdCompressor(level=PACKING).compress
+        for batch in batches:
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([pack(t) for t in batch.column(1).to_pylist()], pa.binary())], names=["key", "text"])
+
+    return arrow_map(rows.select("key", F.col("text").cast("binary")), run, "key long, text binary")
+
+
+def _unpacked(texts: pa.Array) -> Iterator[str]:
+    unpack = zstandard.ZstdDecompressor().decompress
+    return (unpack(t.as_py()).decode() for t in texts)
+
+
 def _members(groups: DataFrame, rows: DataFrame) -> DataFrame:
-    """Written once: the texts of all members of groups. Buckets of their ids, at most SIEVE, sift the rows before the shuffle."""
+    """Written once: the compressed texts of all members of groups. Buckets of their ids, at most SIEVE, sift the rows before the shuffle."""
     ids = groups.select("key").distinct()
     bucket = F.pmod(F.xxhash64("key"), F.lit(SIEVE))
     sifted = rows.join(F.broadcast(ids.select(bucket.alias("bucket")).distinct()), bucket == F.col("bucket"), "left_semi")
-    return written(sifted.join(ids, "key", "left_semi"))
+    return written(_packed(sifted).join(ids, "key", "left_semi"))
 
 
 def _verified(pairs: DataFrame, rows: DataFrame, idf: Idf, tasks: int) -> DataFrame:
@@ -499,8 +517,8 @@ def _verified(pairs: DataFrame, rows: DataFrame, idf: Idf, tasks: int) -> DataFr
         own, at = [], None
         for batch in batches:
             found = []
-            a_all, share_all, b_all, texts = (c.to_pylist() for c in batch.columns)
-            for a, share, b, hashes in zip(a_all, share_all, b_all, words_of_all(texts), strict=True):
+            a_all, share_all, b_all = (c.to_pylist() for c in batch.columns[:3])
+            for a, share, b, hashes in zip(a_all, share_all, b_all, words_of_all(_unpacked(batch.column(3))), strict=True):
                 shingles, times = weighted_set(hashes)
                 this = shingles, weights(shingles, times, idf)
                 if b is None:

@@ -173,3 +173,13 @@ def test_small_cells_and_samples_match_brute_force(spark, monkeypatch):
     for name, value in (("TOGETHER", 4), ("PIVOTS", 1), ("PARTNERS", 3), ("PAYS", 1000)):
         monkeypatch.setattr(n, name, value)
     test_several_clusters_in_large_groups_match_brute_force(spark)
+
+
+def test_texts_of_members_travel_compressed(spark):
+    """They are shuffled for each candidate pair: packed they take less than half, and come back as they were."""
+    given = {k: f"naïve {k} ☃ " + "the same few words once more, " * 40 for k in range(5)} | {5: ""}
+    rows = spark.createDataFrame(list(given.items()), "key long, text string")
+    held = n._members(rows.select("key").where("key <> 1"), rows).toArrow()
+    texts = dict(zip(held["key"].to_pylist(), n._unpacked(held["text"]), strict=True))
+    assert texts == {k: t for k, t in given.items() if k != 1}
+    assert sum(map(len, held["text"].to_pylist())) * 2 < sum(len(t.encode()) for t in texts.values())
