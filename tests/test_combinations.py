@@ -1,6 +1,8 @@
 """Numbers of distinct combinations from dealt groups, against plain sets and SQL."""
 
+import glob
 import random
+import time
 
 import pyarrow as pa
 import pytest
@@ -10,6 +12,7 @@ from linetensor import measures
 from linetensor.operators import combinations
 from linetensor.operators.combinations import combination_counts, pack_combinations, plan_deals
 from linetensor.queries import ORACLES, QUERIES
+from linetensor.sources.tensors import DROP_SHUFFLES
 
 W8 = (900_000, 1_200_000, 60_000, 2500, 3)
 
@@ -64,3 +67,20 @@ def test_flags_are_numbered_as_in_sql_where_an_item_has_no_order(spark, tmp_path
     frames = {"lineitem": items.toArrow(), "orders": orders.toArrow()}
     for name in ("w08_coo", "storage_w08"):
         assert spark_rows(QUERIES[name](spark, str(tmp_path))) == sql_rows(ORACLES[name], "sf0.001", **frames)
+
+
+@pytest.mark.parametrize("name", ["storage_w09", "storage_w06"])
+def test_storage_leaves_neither_rows_nor_shuffles(spark, name):
+    """compression_summary goes through twelve tensors; what one of them needed is not on disk with the next."""
+    folder = spark.conf.get("spark.checkpoint.dir").removeprefix("file://")
+    written = lambda: set(glob.glob(f"{folder}/tensor-*"))
+    shuffles = lambda: {f.getName() for f in spark.sparkContext._jvm.scala.jdk.javaapi.CollectionConverters.asJava(spark.sparkContext._jsc.sc().env().blockManager().diskBlockManager().getAllFiles()) if f.getName().endswith(".data")}
+    rows, before = written(), shuffles()
+    setting = spark.conf.get(DROP_SHUFFLES)
+    got = spark_rows(QUERIES[name](spark, f"{ROOT}/sf0.001"))
+    assert got == sql_rows(ORACLES[name], "sf0.001")
+    assert written() == rows and spark.conf.get(DROP_SHUFFLES) == setting
+    until = time.time() + 20
+    while (left := shuffles() - before) and name == "storage_w09" and time.time() < until:
+        time.sleep(0.2)
+    assert name != "storage_w09" or not left
